@@ -1,0 +1,8 @@
+"""Registry of the engine's queries."""
+
+QUERIES: dict = {}
+SQL: dict = {}
+
+
+def flagship(spark, sf_dir):
+    raise NotImplementedError
