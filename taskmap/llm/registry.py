@@ -1,7 +1,7 @@
 """The corpus operators' queries and SQL, by name."""
 
-from taskmap.llm import bpe, quality, toxicity
+from taskmap.llm import bpe, merkle, mixing, neighbours, quality, tokencount, toxicity, windows
 
-MODULES = (bpe, toxicity, quality)
+MODULES = (bpe, mixing, toxicity, merkle, quality, tokencount, neighbours, windows)
 QUERIES = {name: query for module in MODULES for name, query in module.QUERIES.items()}
 SQL = {name: sql for module in MODULES for name, sql in module.SQL.items()}
