@@ -1,8 +1,68 @@
-"""The corpus pipeline; stages follow as their operators do."""
+"""The corpus pipeline: quality, near duplicates, repeated passages, mix of sources, tokens.
 
-STAGES: list = []
+Each stage takes (spark, docs, sf_dir) and returns a DataFrame; all but the last return the columns of docs. A stage sees
+everything that its predecessor kept. Defined results for nulls, empty tables, repeated rows and further columns are those
+of the operators, in taskmap.llm.
+"""
+
+from __future__ import annotations
+
+import uuid
+
+from pyspark.sql import DataFrame, SparkSession
+
+from taskmap.llm import bpe, mixing, parity, quality, suffixes
+from taskmap.llm.common import documents, ensure_checkpoints, parts_for
+
+#: Near duplicates: words of a shingle, and Jaccard similarity in percent.
+GRAM, PERCENT = 5, 80
+
+
+def keep_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that the quality classifier accepts."""
+    return quality.keep_good(docs, quality.trained(spark, docs, sf_dir))
+
+
+def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One document (the least id) of each class of near duplicates."""
+    return parity.one_of_each(docs, GRAM, PERCENT)
+
+
+def drop_repeated_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """All documents, without the bytes of passages that occurred before."""
+    return suffixes.without_repeats(docs)
+
+
+def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """The mix, a row for each time that a document is sent; where the budget ends, a text is cut."""
+    return mixing.mixed_stream(docs, parts_for(docs, 16, least=8))
+
+
+def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """doc_id, n_tokens, ids_sha256, decoded_sha256, ids."""
+    return bpe.encode_documents(docs, ids=True).drop("decoded")
+
+
+STAGES = [
+    ("quality classifier", keep_quality),
+    ("n-gram Jaccard join", drop_near_duplicates),
+    ("suffix-array dedup", drop_repeated_passages),
+    ("mixing sources to target weights", mix_sources),
+    ("BPE encoding and decoding", encode),
+]
+
+#: The classifier and the merges have no SQL; the stages are tested against brute force.
 ORACLE_SQL = None
 
 
-def run(spark, sf_dir):
-    raise NotImplementedError
+def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All stages over documents. Between two, the rows are a table in the shared folder, which cuts the lineage."""
+    ensure_checkpoints(spark)
+    folder = f"{spark.sparkContext._jsc.sc().getCheckpointDir().get()}/pipeline-{uuid.uuid4().hex}"
+    docs = documents(spark, sf_dir)
+    for k, (_, stage) in enumerate(STAGES):
+        docs = stage(spark, docs, sf_dir)
+        if k < len(STAGES) - 1:
+            docs.write.parquet(f"{folder}/{k}")
+            docs = spark.read.parquet(f"{folder}/{k}")
+    return docs

@@ -36,19 +36,20 @@ def counted(docs: DataFrame) -> tuple[int, int]:
     return n, max(1, math.ceil(math.log2(n)))
 
 
-def batched(docs: DataFrame, n: int) -> DataFrame:
-    """batch, doc_id, text; null ids as NULL_ID, null texts empty."""
-    return texts(docs).select(batch_of(F.col("doc_id"), n).alias("batch"), F.coalesce("doc_id", F.lit(NULL_ID)).alias("doc_id"), "text")
+def batched(docs: DataFrame, n: int, carry: bool = False) -> DataFrame:
+    """batch, doc_id, text; null ids as NULL_ID, null texts empty. With carry, all columns besides as a struct, row."""
+    own = texts(docs, *([F.struct(*[F.col(c) for c in docs.columns if c != "text"]).alias("row")] if carry else []))
+    return own.select(batch_of(F.col("doc_id"), n).alias("batch"), F.coalesce("doc_id", F.lit(NULL_ID)).alias("doc_id"), *own.columns[1:])
 
 
-def in_order(table: pa.Table) -> tuple[np.ndarray, list[bytes]]:
-    """A batch's ids and texts by (id, text): equal ids always meet in one batch, so this is the order of the corpus."""
+def in_order(table: pa.Table) -> tuple[np.ndarray, list[bytes], np.ndarray]:
+    """A batch's ids and texts by (id, text), and that order: equal ids always meet in one batch, so it is the corpus's."""
     ids = table.column("doc_id").to_numpy()
     raw = table.column("text").combine_chunks().cast(pa.large_binary()).to_pylist()
     order = np.argsort(ids, kind="stable")
     if len(ids) > 1 and (np.diff(ids[order]) == 0).any():
         order = np.array(sorted(range(len(ids)), key=lambda i: (ids[i], raw[i])))
-    return ids[order], [raw[i] for i in order]
+    return ids[order], [raw[i] for i in order], order
 
 
 def shard_bounds(values: np.ndarray, bits: int) -> np.ndarray:

@@ -34,6 +34,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from taskmap.llm.batches import answers, batched, counted, in_order, joined, packed, shard_bounds, unpacked
 from taskmap.llm.common import U64, documents, mixed, null_ids, parts_for
@@ -154,7 +155,7 @@ class Batch:
     """
 
     def __init__(self, table: pa.Table, hot_in_batch: int):
-        self.ids, self.raw = in_order(table)
+        self.ids, self.raw, self.rows = in_order(table)
         parts = [segments(np.frombuffer(r, np.uint8)) for r in self.raw]
         self.counts_by_doc = np.array([len(p[0]) for p in parts], np.int64)
         self.doc = np.repeat(np.arange(len(parts)), self.counts_by_doc)
@@ -189,10 +190,13 @@ class Batch:
         return hashes, of, offset
 
 
-def repeated_bytes(docs: DataFrame, hot_in_batch: int = HOT_IN_BATCH, hot: int = HOT) -> DataFrame:
-    """doc_id, n_bytes, n_removed, spans (array of start, end in bytes, end excluded), kept (binary), kept_sha256."""
+def repeated_bytes(docs: DataFrame, hot_in_batch: int = HOT_IN_BATCH, hot: int = HOT, carry: bool = False) -> DataFrame:
+    """doc_id, n_bytes, n_removed, spans (array of start, end in bytes, end excluded), kept (binary), kept_sha256.
+
+    With carry, row besides: a struct of all columns of docs but the text.
+    """
     n, bits = counted(docs)
-    rows = batched(docs, n)
+    rows = batched(docs, n, carry)
     families = max(parts_for(docs, 4), int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")))
 
     def send(table: pa.Table) -> pa.Table:
@@ -306,7 +310,11 @@ def repeated_bytes(docs: DataFrame, hot_in_batch: int = HOT_IN_BATCH, hot: int =
                     column.append(value)
         kinds = (pa.int64(), pa.int64(), pa.list_(pa.list_(pa.int64())), pa.binary(), pa.string())
         columns = [null_ids(np.array(out[0], np.int64)), *[pa.array(c, k) for c, k in zip(out[1:], kinds)]]
-        return pa.table(columns, ["doc_id", "n_bytes", "n_removed", "spans", "kept", "kept_sha256"])
+        names = ["doc_id", "n_bytes", "n_removed", "spans", "kept", "kept_sha256"]
+        if carry:
+            columns.append(table.column("row").combine_chunks().take(pa.array(own.rows)) if len(table) else table.column("row"))
+            names.append("row")
+        return pa.table(columns, names)
 
     sent = rows.groupBy("batch").applyInArrow(send, "shard int, batch int, anchors binary, segments binary, ids binary")
     said = sent.groupBy("shard").applyInArrow(sort_out, "batch int, shard int, flags binary")
@@ -315,10 +323,27 @@ def repeated_bytes(docs: DataFrame, hot_in_batch: int = HOT_IN_BATCH, hot: int =
     found = ordered.mapInArrow(search, "batch int, doc_id long, rank long, flags binary")
     none = F.lit(None)
     told = said.select("batch", "shard", "flags", none.cast("long").alias("doc_id"), none.cast("long").alias("rank")).unionByName(found.select("batch", none.cast("int").alias("shard"), "flags", "doc_id", "rank"))
-    result = "doc_id long, n_bytes long, n_removed long, spans array<array<long>>, kept binary, kept_sha256 string"
+    result = T._parse_datatype_string("doc_id long, n_bytes long, n_removed long, spans array<array<long>>, kept binary, kept_sha256 string")
+    if carry:
+        result.add(rows.schema["row"])
     return rows.groupBy("batch").cogroup(told.groupBy("batch")).applyInArrow(remove, result)
 
 
+def without_repeats(docs: DataFrame) -> DataFrame:
+    """docs, all columns, each text without its repeated bytes (a character that loses a byte goes) and n_chars to match."""
+    found = repeated_bytes(docs, carry=True)
+    changed = F.col("n_removed") > 0
+    columns = []
+    for c in docs.columns:
+        if c == "text":
+            columns.append(F.replace(F.make_valid_utf8(F.col("kept").cast("string")), F.lit("\ufffd"), F.lit("")).cast(docs.schema[c].dataType).alias(c))
+        elif c == "n_chars":
+            columns.append(F.when(changed, F.length(F.replace(F.make_valid_utf8(F.col("kept").cast("string")), F.lit("\ufffd"), F.lit("")))).otherwise(F.col("row.n_chars")).cast(docs.schema[c].dataType).alias(c))
+        else:
+            columns.append(F.col(f"row.`{c}`").alias(c))
+    return found.select(*columns)
+
+
 def _place(own: Batch) -> np.ndarray:
     """Where each text's windows begin in the order of its id's texts; 0 unless ids are equal."""
     sizes = np.array([len(r) for r in own.raw], np.int64)

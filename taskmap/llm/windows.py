@@ -56,7 +56,7 @@ class Batch:
     """The windows of a batch: hashes in both bases, and for each the number of its document."""
 
     def __init__(self, table: pa.Table, length: int):
-        self.ids, self.raw = in_order(table)
+        self.ids, self.raw, _ = in_order(table)
         self.words = [r.split() for r in self.raw]
         hashed = [_hashes.of(w) for w in self.words]
         first = [rolled(h, length, BASES[0]) for h in hashed]
