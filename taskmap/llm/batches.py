@@ -20,12 +20,12 @@ from pyspark.sql import functions as F
 
 from taskmap.llm.common import NULL_ID, U64, batch_of, size_estimate, texts
 
-LEAST_MB, BATCH_MB = 4.0, 256.0
+LEAST_MB, BATCH_MB = 3.0, 256.0
 
 
 def batch_mb(total: int) -> float:
     """Megabytes of files for a batch."""
-    return max(LEAST_MB, min(BATCH_MB, 0.18 * math.sqrt(total / 1e6)))
+    return max(LEAST_MB, min(BATCH_MB, 0.13 * math.sqrt(total / 1e6)))
 
 
 def counted(docs: DataFrame) -> tuple[int, int]:
@@ -90,7 +90,7 @@ def joined(table: pa.Table, dtype: str = "u1") -> np.ndarray:
 class WordHashes(dict):
     """64-bit hashes of words, computed once each; starts anew when full."""
 
-    LIMIT = 400_000
+    LIMIT = 200_000
 
     def __missing__(self, word: bytes) -> int:
         import xxhash

@@ -91,3 +91,23 @@ def ensure_checkpoints(spark: SparkSession) -> None:
             raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
         named = tempfile.mkdtemp(prefix="checkpoints-")
     context.setCheckpointDir(named)
+
+
+def relieved(result: pa.Table) -> pa.Table:
+    """Hands freed memory back to the system after a group, so that a worker's size follows its largest group only."""
+    import ctypes
+
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except (AttributeError, OSError):
+        pass  # another C library
+    return result
+
+
+def release_shuffles(spark: SparkSession) -> None:
+    """Lets the cleaner drop the shuffle files of plans that nothing refers to any more; it follows the driver's GC."""
+    import gc
+
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()

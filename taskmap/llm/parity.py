@@ -1,19 +1,22 @@
 """N-gram Jaccard join by parity sketches.
 
 A document's set holds its distinct shingles of GRAM words. Each shingle flips one bit of a sketch, so the Hamming
-distance of two sketches is at most the size of the sets' symmetric difference. Sets fall into bands by size, a tenth
-wide, and partners lie in the same or neighbouring bands; in a band the difference of two partners is at most D, so that
-of D + 1 pieces of 64 bits of their sketches at least one is equal (pigeonhole). Documents that share a piece are
-candidates, and the sets themselves decide: a pair links when their Jaccard similarity is at least the threshold.
+distance of two sketches is at most the size of the sets' symmetric difference. Sets fall into bands by size, and partners
+lie in the same or neighbouring bands; in a band the difference of two partners is at most D. A sketch is cut into pieces
+of 64 bits, so many that usually more than D of them are not zero: then partners have a piece in common that isn't zero
+(pigeonhole). Sets with fewer such pieces send their zero pieces too, which covers pairs of two such sets. Documents that
+share a piece are candidates, and the sets themselves decide: a pair links when its Jaccard similarity is at least the
+threshold.
 
 The join returns classes of links, not pairs, and never forms all pairs of a group that shares a piece:
 
 1. Equal sets of a batch of documents count as one. Pieces go to shards, packed. A shard ties each member of a group to
-   the group's first (in large groups: of its chunk, and chunks in turn). These pairs are verified with whole sets, which
-   meet in tasks of at most SALT sets, and the links' components are formed.
+   the group's first (in large groups: of its chunk, and chunks in turn). A short sketch of each set (a bit for each
+   shingle, about) drops pairs whose Hamming distance already passes what a link may differ by. The others are verified
+   with whole sets, which meet in tasks of at most SALT sets, and the links' components are formed.
 2. Only groups that still hold several components can hide a link. In these, members outside the group's largest
-   component meet all others, in blocks, by their sketches; pairs of different components whose Hamming distance admits a
-   link are verified as before. Pairs within a component need no check. After that no link between components is left.
+   component meet all others, in blocks, by their short sketches; pairs of different components that a link may join are
+   verified as before. Pairs within a component need no check. After that no link between components is left.
 
 Defined results: null texts and texts without words have no shingle, link with nothing and are their own component; with
 fewer words than GRAM the whole sequence is the one shingle; rows with equal ids are separate documents in the order of
@@ -22,6 +25,7 @@ their texts (component_id can be equal to another row's id all the same); null i
 
 from __future__ import annotations
 
+import math
 from collections.abc import Callable
 
 import numpy as np
@@ -31,7 +35,7 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from taskmap.llm.batches import WordHashes, batched, counted, in_order, packed, shard_bounds, unpacked
-from taskmap.llm.common import NULL_ID, U64, documents, ensure_checkpoints, mixed
+from taskmap.llm.common import NULL_ID, U64, documents, ensure_checkpoints, mixed, release_shuffles, relieved
 from taskmap.llm.components import components
 
 GRAM, PERCENT = 3, 90
@@ -74,8 +78,30 @@ class Bands:
         """The largest symmetric difference of linked sets with so many elements together."""
         return total * (100 - self.percent) // (100 + self.percent)
 
+    def most(self, band: int) -> int:
+        """D: the largest difference of partners of which the larger one is in the band."""
+        return self.difference(2 * (int(self.edges[band + 1]) - 1))
+
     def pieces(self, band: int) -> int:
-        return self.difference(2 * (int(self.edges[band + 1]) - 1)) + 1
+        """So many that the smallest partner is expected to leave more than D of them not zero, with some room."""
+        need = self.most(band) + 1
+        least = int(self.edges[max(0, band - 1)])
+        n = need
+        while n < 4 * need and n * -math.expm1(-least / n) < need + 2 * math.sqrt(n * math.exp(-least / n)) and n < 2 * least:
+            n += max(1, need // 64)
+        return n
+
+    def words(self, band: int) -> int:
+        """Of a short sketch."""
+        return -(-int(self.edges[band + 1]) // 64)
+
+    def short(self, own: np.ndarray, band: int) -> np.ndarray:
+        """A parity sketch of about a bit for each shingle, as words of 64 bits: a filter."""
+        n = self.words(band)
+        at = ((own & U64(0xFFFFFFFF)) * U64(n)) >> U64(32)
+        words = np.zeros(n, U64)
+        np.bitwise_xor.at(words, at.astype(np.int64), U64(1) << ((own >> U64(40)) & U64(63)))
+        return words
 
     def sketch(self, own: np.ndarray, band: int) -> np.ndarray:
         """The parity sketch of a set, in words of 64 bits: as many as the band has pieces."""
@@ -96,83 +122,107 @@ class Bands:
 
 
 class Batch:
-    """The sets of a batch: node of each row (the first row with the same set), sets of the nodes."""
+    """The texts of a batch in the order of the corpus, with their sets as they are asked for."""
 
     def __init__(self, table: pa.Table, gram: int):
-        self.number = table.column("batch")[0].as_py()
-        self.ids, raw, _ = in_order(table)
-        self.sets = [shingles(r, gram) for r in raw]
-        first: dict[bytes, int] = {}
-        self.node = np.array([first.setdefault(s.tobytes(), i) if len(s) else i for i, s in enumerate(self.sets)], np.int64)
+        self.number, self.gram = table.column("batch")[0].as_py(), gram
+        self.ids, self.raw, _ = in_order(table)
 
-    def nodes(self) -> list[int]:
-        return [i for i in np.unique(self.node).tolist() if len(self.sets[i])]
+    def set(self, row: int) -> np.ndarray:
+        return shingles(self.raw[row], self.gram)
+
+    def nodes(self, sets: list[np.ndarray]) -> np.ndarray:
+        """For each row the first row with the same set; rows without shingles stand alone."""
+        first: dict[bytes, int] = {}
+        return np.array([first.setdefault(s.tobytes(), i) if len(s) else i for i, s in enumerate(sets)], np.int64)
 
 
 def node_of(batch: int, row: np.ndarray | int) -> np.ndarray | int:
     return (batch << 32) + row
 
 
-FOUND = "kind int, a long, b long, c long"
+FOUND = "kind int, a long, b long, c long, home array<long>, above array<long>"
 
 
-def _found(kind: np.ndarray | int, a: np.ndarray, b: np.ndarray, c: np.ndarray | int) -> pa.Table:
+def _found(kind: int, a: np.ndarray, b: np.ndarray, c: np.ndarray, home: list | None = None, above: list | None = None) -> pa.Table:
     n = len(a)
-    return pa.table([pa.array(np.full(n, kind, np.int32)), pa.array(np.asarray(a, np.int64)), pa.array(np.asarray(b, np.int64)), pa.array(np.full(n, c, np.int64) if np.isscalar(c) else np.asarray(c, np.int64))], ["kind", "a", "b", "c"])
+    lists = [pa.array(x if x is not None else [None] * n, pa.list_(pa.int64())) for x in (home, above)]
+    longs = [pa.array(np.asarray(x, np.int64)) for x in (a, b, c)]
+    return pa.table([pa.array(np.full(n, kind, np.int32)), *longs, *lists], ["kind", "a", "b", "c", "home", "above"])
 
 
 def tied(starts: np.ndarray, sizes: np.ndarray, nodes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Pairs (first, member) of groups that lie one after another in nodes; large groups as trees of chunks."""
-    left, right = [], []
-    small = np.arange(len(nodes))
-    group = np.repeat(np.arange(len(starts)), sizes)
-    place = small - np.repeat(starts - starts[0] if len(starts) else starts, sizes)
+    left, right = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
+    at = np.arange(len(nodes))
+    place = at - np.repeat(starts, sizes)
     step = 1
     while len(sizes) and step < sizes.max():
         # members at multiples of step are tied to those at multiples of step * CHUNK
         of = (place % step == 0) & (place % (step * CHUNK) != 0)
-        left.append(nodes[small[of] - place[of] % (step * CHUNK)])
+        left.append(nodes[at[of] - place[of] % (step * CHUNK)])
         right.append(nodes[of])
         step *= CHUNK
-    del group
-    none = np.zeros(0, np.int64)
-    return (np.concatenate(left) if left else none), (np.concatenate(right) if right else none)
+    return np.concatenate(left), np.concatenate(right)
 
 
 class Join:
     """The operator with its parameters; similar() and its steps."""
 
     def __init__(self, docs: DataFrame, gram: int = GRAM, percent: int = PERCENT):
+        self.spark = docs.sparkSession
         self.n, self.bits = counted(docs)
         self.rows = batched(docs, self.n)
         self.gram, self.bands = gram, Bands(percent)
-        ensure_checkpoints(docs.sparkSession)
+        ensure_checkpoints(self.spark)
 
     def first_step(self) -> DataFrame:
+        """Rows of FOUND: candidate PAIRs a, b; MEMBERs b of groups a of three or more (c: whether the group's band is above
+        the member's own); DOCUMENTs a with node b and size c, the node's own row with its short sketches."""
         gram, bands, bits = self.gram, self.bands, self.bits
 
         def send(table: pa.Table) -> pa.Table:
             own = Batch(table, gram)
-            keys, rows = [], []
-            for i in own.nodes():
+            sets = [own.set(i) for i in range(len(own.raw))]
+            node = own.nodes(sets)
+            keys, rows, shorts = [np.zeros(0, U64)], [np.zeros(0, np.uint32)], []
+            for i in range(len(sets)):
+                if node[i] != i or not len(sets[i]):
+                    continue
                 for above in (0, 1):
-                    band = bands.of(len(own.sets[i])) + above
-                    some = bands.keys(bands.sketch(own.sets[i], band), band)
+                    band = bands.of(len(sets[i])) + above
+                    sketch = bands.sketch(sets[i], band)
+                    some = bands.keys(sketch, band)
+                    if np.count_nonzero(sketch) > bands.most(band):
+                        some = some[sketch != 0]
                     keys.append(some)
                     rows.append(np.full(len(some), 2 * i + above, np.uint32))
-            keys, rows = (np.concatenate(keys), np.concatenate(rows)) if keys else (np.zeros(0, U64), np.zeros(0, np.uint32))
-            order = np.argsort(keys, kind="stable")
-            out = packed([keys[order], rows[order]], shard_bounds(keys[order], bits), own.number, ["keys", "rows"])
+                    shorts.append(bands.short(sets[i], band))
+            sizes = np.array([len(s) for s in sets], U64)
+            del sets
+            all_keys, all_rows = np.concatenate(keys), np.concatenate(rows)
+            order = np.argsort(all_keys, kind="stable")
+            out = packed([all_keys[order], all_rows[order]], shard_bounds(all_keys[order], bits), own.number, ["keys", "rows"])
+            out = out.append_column("shorts", pa.nulls(len(out), pa.binary()))
             # the documents themselves go to a shard of their own, numbered by the batch
-            sizes = np.array([len(s) for s in own.sets], np.uint64)
-            mine = pa.table([pa.array([-1 - own.number], pa.int32()), pa.array([own.number], pa.int32()), pa.array([np.concatenate((own.ids.view(U64), sizes)).tobytes()], pa.binary()), pa.array([own.node.astype(np.uint32).tobytes()], pa.binary())], ["shard", "batch", "keys", "rows"])
+            packs = [np.concatenate((own.ids.view(U64), sizes)).tobytes(), node.astype(np.uint32).tobytes(), b"".join(s.tobytes() for s in shorts)]
+            mine = pa.table([pa.array([-1 - own.number], pa.int32()), pa.array([own.number], pa.int32()), *[pa.array([x], pa.binary()) for x in packs]], out.column_names)
             return pa.concat_tables([out, mine])
 
         def meet(table: pa.Table) -> pa.Table:
             if table.column("shard")[0].as_py() < 0:
-                both = np.frombuffer(table.column("keys")[0].as_py(), U64)
-                rows = np.frombuffer(table.column("rows")[0].as_py(), np.uint32).astype(np.int64)
-                return _found(DOCUMENT, both[: len(rows)].view(np.int64), node_of(table.column("batch")[0].as_py(), rows), both[len(rows) :].view(np.int64))
+                both, rows, words = (np.frombuffer(table.column(c)[0].as_py(), t) for c, t in (("keys", U64), ("rows", np.uint32), ("shorts", np.int64)))
+                sizes = both[len(rows) :].view(np.int64)
+                home: list = [None] * len(rows)
+                above: list = [None] * len(rows)
+                at = 0
+                for i, (row, size) in enumerate(zip(rows.tolist(), sizes.tolist())):
+                    if row == i and size:
+                        for lists, band in ((home, bands.of(size)), (above, bands.of(size) + 1)):
+                            n = bands.words(band)
+                            lists[i] = words[at : at + n]
+                            at += n
+                return _found(DOCUMENT, both[: len(rows)].view(np.int64), node_of(table.column("batch")[0].as_py(), rows.astype(np.int64)), sizes, home, above)
             keys, sizes = unpacked(table, "keys", "u8")
             rows = unpacked(table, "rows", "u4")[0].astype(np.int64)
             nodes = (np.repeat(table.column("batch").to_numpy().astype(np.int64), sizes) << 32) + (rows >> 1)
@@ -182,20 +232,33 @@ class Join:
             counts = np.diff(np.append(starts, len(k)))
             often = np.repeat(counts > 1, counts)
             k, v, above, counts = k[often], v[often], above[often], counts[counts > 1]
-            starts = np.cumsum(counts) - counts
-            left, right = tied(starts, counts, v)
-            pairs = np.unique(np.column_stack((left, right)), axis=0) if len(left) else np.zeros((0, 2), np.int64)
-            pairs = pairs[pairs[:, 0] != pairs[:, 1]]
+            left, right = tied(np.cumsum(counts) - counts, counts, v)
+            order = np.lexsort((right, left))
+            left, right = left[order], right[order]
+            new = np.append(True, (left[1:] != left[:-1]) | (right[1:] != right[:-1]))[: len(left)]
             several = np.repeat(counts > 2, counts)
-            return pa.concat_tables([_found(PAIR, pairs[:, 0], pairs[:, 1], 0), _found(MEMBER, k[several].view(np.int64), v[several], above[several])])
-
-        sent = self.rows.groupBy("batch").applyInArrow(send, "shard int, batch int, keys binary, rows binary")
-        return sent.groupBy("shard").applyInArrow(meet, FOUND)
+            none = np.zeros(int(new.sum()), np.int64)
+            return pa.concat_tables([_found(PAIR, left[new], right[new], none), _found(MEMBER, k[several].view(np.int64), v[several], above[several])])
+
+        sent = self.rows.groupBy("batch").applyInArrow(lambda t: relieved(send(t)), "shard int, batch int, keys binary, rows binary, shorts binary")
+        return sent.groupBy("shard").applyInArrow(lambda t: relieved(meet(t)), FOUND)
+
+    def possible(self, pairs: DataFrame, nodes: DataFrame) -> DataFrame:
+        """Of pairs(a, b), distinct, those that sizes and short sketches allow to link; nodes(node, size, band, home, above)."""
+        side = lambda x: nodes.select(*[F.col(c).alias(x if c == "node" else f"{c}_{x}") for c in nodes.columns])
+        both = pairs.distinct().join(side("a"), "a").join(side("b"), "b")
+        small, large = F.least("size_a", "size_b"), F.greatest("size_a", "size_b")
+        both = both.filter((100 * small >= self.bands.percent * large) & (F.abs(F.col("band_a") - F.col("band_b")) <= 1))
+        # both as sketches for the larger one's band
+        fit = lambda x, y: F.when(F.col(f"band_{x}") < F.col(f"band_{y}"), F.col(f"above_{x}")).otherwise(F.col(f"home_{x}"))
+        flips = F.zip_with(fit("a", "b"), fit("b", "a"), lambda x, y: F.bit_count(x.bitwiseXOR(y)))
+        apart = F.aggregate(flips, F.lit(0), lambda s, x: s + x)
+        most = F.call_function("div", (F.col("size_a") + F.col("size_b")) * (100 - self.bands.percent), F.lit(100 + self.bands.percent))
+        return both.filter(apart <= most).select("a", "b")
 
     def verified(self, pairs: DataFrame) -> DataFrame:
         """Of pairs(a, b), those whose sets are similar enough. Sets of b meet that of a in tasks of about SALT."""
         gram, bands = self.gram, self.bands
-        pairs = pairs.distinct()
         crowd = pairs.groupBy("a").agg(F.ceil(F.count("*") / SALT).cast("int").alias("tasks"))
         salt = F.pmod(F.xxhash64("b"), F.col("tasks")).cast("int")
         members = pairs.join(crowd, "a").select("a", salt.alias("salt"), F.col("b").alias("node"))
@@ -208,83 +271,81 @@ class Join:
                 return pa.table([pa.array([], t) for t in (pa.int64(), pa.int32(), pa.int64(), pa.binary())], names)
             own = Batch(table, gram)
             rows = (asked.column("node").to_numpy() & 0xFFFFFFFF).tolist()
-            return pa.table([asked.column("a"), asked.column("salt"), asked.column("node"), pa.array([own.sets[i].tobytes() for i in rows], pa.binary())], names)
+            known = {i: own.set(i).tobytes() for i in set(rows)}
+            return pa.table([asked.column("a"), asked.column("salt"), asked.column("node"), pa.array([known[i] for i in rows], pa.binary())], names)
 
         def check(key: tuple, table: pa.Table) -> pa.Table:
             a = key[0].as_py()
             nodes = table.column("node").to_pylist()
-            sets = [np.frombuffer(x, U64) for x in table.column("set").to_pylist()]
-            first = sets[nodes.index(a)] if a in nodes else np.zeros(0, U64)
+            sets = table.column("set").to_pylist()
+            first = np.frombuffer(sets[nodes.index(a)], U64)
             good = []
-            for node, own in zip(nodes, sets):
-                if node != a and 100 * min(len(own), len(first)) >= bands.percent * max(len(own), len(first)):
+            for node, raw in zip(nodes, sets):
+                own = np.frombuffer(raw, U64)
+                if node != a:
                     at = np.searchsorted(first, own)
                     at[at == len(first)] = 0
                     if bands.linked(int((first[at] == own).sum()), len(first), len(own)):
                         good.append(node)
-            return _found(LINK, np.full(len(good), a), np.array(good, np.int64), 0)
+            return _found(LINK, np.full(len(good), a), np.array(good, np.int64), np.zeros(len(good), np.int64))
 
-        sent = self.rows.groupBy("batch").cogroup(asked.groupBy("batch")).applyInArrow(send, "a long, salt int, node long, set binary")
+        sent = self.rows.groupBy("batch").cogroup(asked.groupBy("batch")).applyInArrow(lambda t, u: relieved(send(t, u)), "a long, salt int, node long, set binary")
         return sent.groupBy("a", "salt").applyInArrow(check, FOUND)
 
-    def hidden(self, members: DataFrame, labels: DataFrame) -> DataFrame:
-        """Pairs of different components whose sketches admit a link, from groups that hold several components."""
-        gram, bands = self.gram, self.bands
-        own = members.select(F.col("a").alias("key"), F.col("b").alias("node"), F.col("c").alias("above"))
+    def hidden(self, members: DataFrame, nodes: DataFrame, labels: DataFrame) -> DataFrame:
+        """Pairs of different components that their short sketches allow to link, from groups of several components."""
+        bands = self.bands
+        own = members.select(F.col("a").alias("key"), F.col("b").alias("node"), F.col("c").alias("upper"))
         own = own.join(labels, "node", "left").withColumn("component", F.coalesce("component", "node"))
         each = own.groupBy("key", "component").agg(F.count("*").alias("n"))
-        mixed_groups = each.groupBy("key").agg(F.max(F.struct("n", "component")).alias("top"), F.count("*").alias("several"), F.sum("n").alias("m")).filter("several > 1")
-        told = own.join(mixed_groups.select("key", F.col("top.component").alias("major"), F.ceil(F.col("m") / BLOCK).cast("int").alias("blocks")), "key")
+        several = each.groupBy("key").agg(F.max(F.struct("n", "component")).alias("top"), F.count("*").alias("components"), F.sum("n").alias("m")).filter("components > 1")
+        told = own.join(several.select("key", F.col("top.component").alias("major"), F.ceil(F.col("m") / BLOCK).cast("int").alias("blocks")), "key")
         minor = F.col("component") != F.col("major")
         home = F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int")
-        told = told.select("key", "node", "above", "component", minor.alias("minor"), F.explode(F.when(minor, F.sequence(F.lit(0), F.col("blocks") - 1)).otherwise(F.array(home))).alias("block"))
-        asked = told.withColumn("batch", F.shiftright("node", 32).cast("int"))
-        names = ["key", "block", "node", "component", "minor", "size", "sketch"]
-        kinds = (pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.bool_(), pa.int64(), pa.binary())
-
-        def send(table: pa.Table, asked: pa.Table) -> pa.Table:
-            if not len(table) or not len(asked):
-                return pa.table([pa.array([], t) for t in kinds], names)
-            own = Batch(table, gram)
-            rows = (asked.column("node").to_numpy() & 0xFFFFFFFF).tolist()
-            sizes = [len(own.sets[i]) for i in rows]
-            sketches = [bands.sketch(own.sets[i], bands.of(n) + above).tobytes() for i, n, above in zip(rows, sizes, asked.column("above").to_pylist())]
-            return pa.table([asked.column("key"), asked.column("block"), asked.column("node"), asked.column("component"), asked.column("minor"), pa.array(sizes, pa.int64()), pa.array(sketches, pa.binary())], names)
+        told = told.select("key", "node", "upper", "component", minor.alias("minor"), F.explode(F.when(minor, F.sequence(F.lit(0), F.col("blocks") - 1)).otherwise(F.array(home))).alias("block"))
+        short = F.when(F.col("upper") == 1, F.col("above")).otherwise(F.col("home"))
+        told = told.join(nodes, "node").select("key", "block", "node", "component", "minor", "size", short.alias("short"))
 
         def compare(table: pa.Table) -> pa.Table:
             minor = table.column("minor").to_numpy(zero_copy_only=False)
-            sketch = np.array([np.frombuffer(x, U64) for x in table.column("sketch").to_pylist()])
+            short = table.column("short").combine_chunks().flatten().to_numpy().view(U64).reshape(len(table), -1)
             size, component, node = (table.column(c).to_numpy() for c in ("size", "component", "node"))
-            least, most = [], []
+            left, right = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
             for i in np.flatnonzero(minor):
-                total = size + size[i]
                 near = (component != component[i]) & (100 * np.minimum(size, size[i]) >= bands.percent * np.maximum(size, size[i]))
                 near &= ~minor | (node > node[i])  # pairs of two such members once
                 some = np.flatnonzero(near)
                 if len(some):
-                    apart = np.bitwise_count(sketch[some] ^ sketch[i]).sum(1)
-                    some = some[apart <= total[some] * (100 - bands.percent) // (100 + bands.percent)]
-                    least.append(np.minimum(node[some], node[i]))
-                    most.append(np.maximum(node[some], node[i]))
-            none = np.zeros(0, np.int64)
-            pairs = np.unique(np.column_stack((np.concatenate(least), np.concatenate(most))), axis=0) if least else np.column_stack((none, none))
-            return _found(PAIR, pairs[:, 0], pairs[:, 1], 0)
+                    apart = np.bitwise_count(short[some] ^ short[i]).sum(1, dtype=np.int64)
+                    some = some[apart <= (size[some] + size[i]) * (100 - bands.percent) // (100 + bands.percent)]
+                    left.append(np.minimum(node[some], node[i]))
+                    right.append(np.maximum(node[some], node[i]))
+            a, b = np.concatenate(left), np.concatenate(right)
+            return _found(PAIR, a, b, np.zeros(len(a), np.int64))
 
-        sent = self.rows.groupBy("batch").cogroup(asked.groupBy("batch")).applyInArrow(send, "key long, block int, node long, component long, minor boolean, size long, sketch binary")
-        return sent.groupBy("key", "block").applyInArrow(compare, FOUND)
+        found = told.groupBy("key", "block").applyInArrow(compare, FOUND)
+        return found.select("a", "b").distinct()
 
     def similar(self) -> DataFrame:
         """doc_id, n_shingles, component_id (an id), component (a number, also where ids are equal or null)."""
-        found = self.first_step()
-        links = self.verified(found.filter(F.col("kind") == PAIR).select("a", "b"))
-        first = found.filter(F.col("kind") != PAIR).unionByName(links).checkpoint()
-        members = first.filter(F.col("kind") == MEMBER)
-        links = first.filter(F.col("kind") == LINK).select("a", "b")
-        labels = components(links)
-        more = self.verified(self.hidden(members, labels).select("a", "b")).checkpoint().select("a", "b")
-        if more.limit(1).count():
-            labels = components(links.unionByName(more))
-        rows = first.filter(F.col("kind") == DOCUMENT).select(F.col("a").alias("doc_id"), F.col("b").alias("node"), F.col("c").alias("n_shingles"))
+        first = self.first_step().checkpoint()
+        release_shuffles(self.spark)
+        documents = first.filter(F.col("kind") == DOCUMENT)
+        edges = self.bands.edges.tolist()
+        band = F.size(F.filter(F.array(*[F.lit(e) for e in edges if e < 1 << 31]), lambda e: e <= F.col("size"))) - 1
+        nodes = documents.filter("home is not null").select(F.col("b").alias("node"), F.col("c").alias("size"), "home", "above").withColumn("band", band)
+        pairs = self.possible(first.filter(F.col("kind") == PAIR).select("a", "b"), nodes).checkpoint()
+        links = self.verified(pairs).select("a", "b").checkpoint()
+        release_shuffles(self.spark)
+        labels = components(links).checkpoint()
+        rest = self.hidden(first.filter(F.col("kind") == MEMBER), nodes, labels)
+        rest = rest.join(pairs, ["a", "b"], "left_anti").checkpoint()
+        if rest.limit(1).count():
+            more = self.verified(rest).select("a", "b").checkpoint()
+            release_shuffles(self.spark)
+            if more.limit(1).count():
+                labels = components(links.unionByName(more))
+        rows = documents.select(F.col("a").alias("doc_id"), F.col("b").alias("node"), F.col("c").alias("n_shingles"))
         rows = rows.join(labels, "node", "left").withColumn("component", F.coalesce("component", "node"))
         least = rows.groupBy("component").agg(F.min("doc_id").alias("component_id"))
         null = lambda name: F.when(F.col(name) != NULL_ID, F.col(name)).alias(name)

@@ -37,7 +37,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from taskmap.llm.batches import answers, batched, counted, in_order, joined, packed, shard_bounds, unpacked
-from taskmap.llm.common import U64, documents, mixed, null_ids, parts_for
+from taskmap.llm.common import U64, documents, mixed, null_ids, parts_for, relieved
 
 LENGTH, GRAM = 100, 32
 #: Different segments of an anchor from which its windows are sent singly: within a batch, and in all.
@@ -45,7 +45,7 @@ HOT_IN_BATCH, HOT = 64, 1024
 #: Rows that make a batch of a family.
 BATCH = 1024
 #: Bytes of a text that are hashed at a time.
-PIECE = 1 << 20
+PIECE = 1 << 17
 
 ONLY, REPEATED, SEVERAL, SINGLY = 0, 1, 2, 3
 
@@ -117,19 +117,19 @@ def gram_hashes(data: np.ndarray, lengths: tuple[int, ...]) -> list[np.ndarray]:
     return out
 
 
-def segments(data: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """Starts and numbers of windows of a text's segments, their anchor hashes and their own, and all window hashes."""
+def segments(data: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Starts and numbers of windows of a text's segments, their anchor hashes and their own."""
     if len(data) > PIECE + LENGTH:
         found, at = [], 0
         while at < len(data) - LENGTH + 1:
             piece = segments(data[at : at + PIECE + LENGTH - 1])
             found.append((piece[0] + at, *piece[1:]))
             at += PIECE
-        return tuple(np.concatenate([f[i] for f in found]) for i in range(5))
+        return tuple(np.concatenate([f[i] for f in found]) for i in range(4))
     n = len(data) - LENGTH + 1
     if n <= 0:
         none = np.zeros(0, np.int64)
-        return none, none, none.astype(U64), none.astype(U64), none.astype(U64)
+        return none, none, none.astype(U64), none.astype(U64)
     grams, whole = gram_hashes(data, (GRAM, LENGTH))
     low = U64((1 << 24) - 1)
     least = (grams & ~low) | np.arange(len(grams), dtype=U64)  # ties: the leftmost
@@ -144,7 +144,7 @@ def segments(data: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.n
     counts = np.diff(np.append(starts, n))
     # first and last window overlap, so both and the number of windows tell the segment's bytes
     own = mixed(_step(whole[starts], whole[starts + counts - 1], 7) + counts.astype(U64))
-    return starts, counts, grams[anchor[starts]], np.maximum(own, U64(1)), whole
+    return starts, counts, grams[anchor[starts]], np.maximum(own, U64(1))
 
 
 class Batch:
@@ -160,7 +160,6 @@ class Batch:
         self.counts_by_doc = np.array([len(p[0]) for p in parts], np.int64)
         self.doc = np.repeat(np.arange(len(parts)), self.counts_by_doc)
         self.start, self.count, self.anchor, self.segment = (np.concatenate([p[i] for p in parts]) if parts else np.zeros(0, np.int64) for i in range(4))
-        self.windows = lambda i: parts[self.doc[i]][4][self.start[i] : self.start[i] + self.count[i]]
         order = np.lexsort((self.segment, self.anchor))  # stable: equal pairs stay in the order of the corpus
         a, s = self.anchor[order], self.segment[order]
         fresh = np.append(True, (a[1:] != a[:-1]) | (s[1:] != s[:-1])) if len(a) else np.zeros(0, bool)
@@ -173,6 +172,11 @@ class Batch:
         sent = ~self.hot | new
         self.sent = (a[sent], np.where(self.hot[sent], U64(0), s[sent]).astype(U64), self.ids[self.doc[self.first[sent]]] if len(a) else np.zeros(0, np.int64))
 
+    def windows(self, i: int) -> np.ndarray:
+        """The hashes of a segment's windows."""
+        own = np.frombuffer(self.raw[self.doc[i]], np.uint8)[self.start[i] : self.start[i] + self.count[i] + LENGTH - 1]
+        return gram_hashes(own, (LENGTH,))[0]
+
     def said(self, told: pa.Table) -> np.ndarray:
         """Of each segment: ONLY, REPEATED, SEVERAL or SINGLY, given the shards' answers."""
         own = np.full(len(self.start), REPEATED, np.uint8)
@@ -316,9 +320,9 @@ def repeated_bytes(docs: DataFrame, hot_in_batch: int = HOT_IN_BATCH, hot: int =
             names.append("row")
         return pa.table(columns, names)
 
-    sent = rows.groupBy("batch").applyInArrow(send, "shard int, batch int, anchors binary, segments binary, ids binary")
-    said = sent.groupBy("shard").applyInArrow(sort_out, "batch int, shard int, flags binary")
-    unclear = rows.groupBy("batch").cogroup(said.groupBy("batch")).applyInArrow(send_bytes, "part int, doc_id long, rank long, batch int, bytes binary")
+    sent = rows.groupBy("batch").applyInArrow(lambda t: relieved(send(t)), "shard int, batch int, anchors binary, segments binary, ids binary")
+    said = sent.groupBy("shard").applyInArrow(lambda t: relieved(sort_out(t)), "batch int, shard int, flags binary")
+    unclear = rows.groupBy("batch").cogroup(said.groupBy("batch")).applyInArrow(lambda t, u: relieved(send_bytes(t, u)), "part int, doc_id long, rank long, batch int, bytes binary")
     ordered = unclear.repartition(families, "part").sortWithinPartitions("doc_id", "rank")
     found = ordered.mapInArrow(search, "batch int, doc_id long, rank long, flags binary")
     none = F.lit(None)
@@ -326,7 +330,7 @@ def repeated_bytes(docs: DataFrame, hot_in_batch: int = HOT_IN_BATCH, hot: int =
     result = T._parse_datatype_string("doc_id long, n_bytes long, n_removed long, spans array<array<long>>, kept binary, kept_sha256 string")
     if carry:
         result.add(rows.schema["row"])
-    return rows.groupBy("batch").cogroup(told.groupBy("batch")).applyInArrow(remove, result)
+    return rows.groupBy("batch").cogroup(told.groupBy("batch")).applyInArrow(lambda t, u: relieved(remove(t, u)), result)
 
 
 def without_repeats(docs: DataFrame) -> DataFrame:

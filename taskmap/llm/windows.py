@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
 from taskmap.llm.batches import WordHashes, answers, batched, counted, in_order, joined, packed, shard_bounds, unpacked
-from taskmap.llm.common import U64, documents, mixed, null_ids
+from taskmap.llm.common import U64, documents, mixed, null_ids, relieved
 
 LENGTH = 13
 BASES = (U64(0x9E3779B97F4A7C55), U64(0xC2B2AE3D27D4EB4F))
@@ -144,12 +144,12 @@ def repeated_words(docs: DataFrame, length: int = LENGTH) -> DataFrame:
         columns = [null_ids(np.array(out[0], np.int64)), *[pa.array(c, k) for c, k in zip(out[1:], kinds)]]
         return pa.table(columns, ["doc_id", "n_words", "n_removed", "intervals", "kept", "kept_sha256"])
 
-    sent = rows.groupBy("batch").applyInArrow(send_all, "shard int, batch int, hashes binary")
-    often = sent.groupBy("shard").applyInArrow(count, "batch int, shard int, flags binary")
-    again = rows.groupBy("batch").cogroup(often.groupBy("batch")).applyInArrow(send_often, "shard int, batch int, hashes binary, others binary, ids binary")
-    earlier = again.groupBy("shard").applyInArrow(judge, "batch int, shard int, flags binary")
+    sent = rows.groupBy("batch").applyInArrow(lambda t: relieved(send_all(t)), "shard int, batch int, hashes binary")
+    often = sent.groupBy("shard").applyInArrow(lambda t: relieved(count(t)), "batch int, shard int, flags binary")
+    again = rows.groupBy("batch").cogroup(often.groupBy("batch")).applyInArrow(lambda t, u: relieved(send_often(t, u)), "shard int, batch int, hashes binary, others binary, ids binary")
+    earlier = again.groupBy("shard").applyInArrow(lambda t: relieved(judge(t)), "batch int, shard int, flags binary")
     result = "doc_id long, n_words long, n_removed long, intervals array<array<long>>, kept string, kept_sha256 string"
-    return rows.groupBy("batch").cogroup(earlier.groupBy("batch")).applyInArrow(remove, result)
+    return rows.groupBy("batch").cogroup(earlier.groupBy("batch")).applyInArrow(lambda t, u: relieved(remove(t, u)), result)
 
 
 def op9_substrings(spark: SparkSession, sf_dir: str) -> DataFrame:
