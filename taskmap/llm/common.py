@@ -105,6 +105,17 @@ def relieved(result: pa.Table) -> pa.Table:
     return result
 
 
+def stored(df: DataFrame) -> DataFrame:
+    """The rows as a compressed table in the shared folder for checkpoints: cuts the lineage, outlives executors."""
+    import uuid
+
+    spark = df.sparkSession
+    ensure_checkpoints(spark)
+    path = f"{spark.sparkContext._jsc.sc().getCheckpointDir().get()}/rows-{uuid.uuid4().hex}"
+    df.write.option("compression", "zstd").parquet(path)
+    return spark.read.schema(df.schema).parquet(path)
+
+
 def release_shuffles(spark: SparkSession) -> None:
     """Lets the cleaner drop the shuffle files of plans that nothing refers to any more; it follows the driver's GC."""
     import gc

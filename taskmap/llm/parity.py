@@ -3,10 +3,11 @@
 A document's set holds its distinct shingles of GRAM words. Each shingle flips one bit of a sketch, so the Hamming
 distance of two sketches is at most the size of the sets' symmetric difference. Sets fall into bands by size, and partners
 lie in the same or neighbouring bands; in a band the difference of two partners is at most D. A sketch is cut into pieces
-of 64 bits, so many that usually more than D of them are not zero: then partners have a piece in common that isn't zero
-(pigeonhole). Sets with fewer such pieces send their zero pieces too, which covers pairs of two such sets. Documents that
-share a piece are candidates, and the sets themselves decide: a pair links when its Jaccard similarity is at least the
-threshold.
+of 64 bits, so many that usually more than D of them are not zero. At most D of them differ between partners, so of any
+D + 1 pieces one is equal (pigeonhole); and as in prefix filters it is enough that both send the first D + 1 of their
+pieces in one global order, here those with most bits first, as these are the least common. Sets with fewer pieces that
+are not zero send all, zero ones too. Documents that share a piece are candidates, and the sets themselves decide: a pair
+links when its Jaccard similarity is at least the threshold.
 
 The join returns classes of links, not pairs, and never forms all pairs of a group that shares a piece:
 
@@ -35,7 +36,7 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from taskmap.llm.batches import WordHashes, batched, counted, in_order, packed, shard_bounds, unpacked
-from taskmap.llm.common import NULL_ID, U64, documents, ensure_checkpoints, mixed, release_shuffles, relieved
+from taskmap.llm.common import NULL_ID, U64, documents, ensure_checkpoints, mixed, release_shuffles, relieved, stored
 from taskmap.llm.components import components
 
 GRAM, PERCENT = 3, 90
@@ -83,11 +84,11 @@ class Bands:
         return self.difference(2 * (int(self.edges[band + 1]) - 1))
 
     def pieces(self, band: int) -> int:
-        """So many that the smallest partner is expected to leave more than D of them not zero, with some room."""
+        """So many that the smallest partner is expected to leave a fifth more than D of them not zero, within limits."""
         need = self.most(band) + 1
         least = int(self.edges[max(0, band - 1)])
         n = need
-        while n < 4 * need and n * -math.expm1(-least / n) < need + 2 * math.sqrt(n * math.exp(-least / n)) and n < 2 * least:
+        while n < 1.7 * need and n * -math.expm1(-least / n) < 1.2 * need + 2 * math.sqrt(n * math.exp(-least / n)):
             n += max(1, need // 64)
         return n
 
@@ -192,9 +193,9 @@ class Join:
                 for above in (0, 1):
                     band = bands.of(len(sets[i])) + above
                     sketch = bands.sketch(sets[i], band)
-                    some = bands.keys(sketch, band)
-                    if np.count_nonzero(sketch) > bands.most(band):
-                        some = some[sketch != 0]
+                    some, need = bands.keys(sketch, band), bands.most(band) + 1
+                    if np.count_nonzero(sketch) >= need:
+                        some = some[np.lexsort((some, -np.bitwise_count(sketch).astype(np.int64)))[:need]]
                     keys.append(some)
                     rows.append(np.full(len(some), 2 * i + above, np.uint32))
                     shorts.append(bands.short(sets[i], band))
@@ -245,16 +246,18 @@ class Join:
 
     def possible(self, pairs: DataFrame, nodes: DataFrame) -> DataFrame:
         """Of pairs(a, b), distinct, those that sizes and short sketches allow to link; nodes(node, size, band, home, above)."""
-        side = lambda x: nodes.select(*[F.col(c).alias(x if c == "node" else f"{c}_{x}") for c in nodes.columns])
-        both = pairs.distinct().join(side("a"), "a").join(side("b"), "b")
+        narrow = lambda x: nodes.select(F.col("node").alias(x), F.col("size").alias(f"size_{x}"), F.col("band").alias(f"band_{x}"))
+        both = pairs.distinct().join(narrow("a"), "a").join(narrow("b"), "b")
         small, large = F.least("size_a", "size_b"), F.greatest("size_a", "size_b")
         both = both.filter((100 * small >= self.bands.percent * large) & (F.abs(F.col("band_a") - F.col("band_b")) <= 1))
-        # both as sketches for the larger one's band
-        fit = lambda x, y: F.when(F.col(f"band_{x}") < F.col(f"band_{y}"), F.col(f"above_{x}")).otherwise(F.col(f"home_{x}"))
-        flips = F.zip_with(fit("a", "b"), fit("b", "a"), lambda x, y: F.bit_count(x.bitwiseXOR(y)))
-        apart = F.aggregate(flips, F.lit(0), lambda s, x: s + x)
         most = F.call_function("div", (F.col("size_a") + F.col("size_b")) * (100 - self.bands.percent), F.lit(100 + self.bands.percent))
-        return both.filter(apart <= most).select("a", "b")
+        both = both.select("a", "b", (F.col("band_a") < F.col("band_b")).alias("up_a"), (F.col("band_b") < F.col("band_a")).alias("up_b"), most.alias("most"))
+        # both as sketches for the larger one's band
+        for x in "ab":
+            fit = F.when(F.col(f"up_{x}"), F.col("above")).otherwise(F.col("home"))
+            both = both.join(nodes.select(F.col("node").alias(x), "home", "above"), x).withColumn(f"short_{x}", fit).drop("home", "above", f"up_{x}")
+        flips = F.zip_with("short_a", "short_b", lambda x, y: F.bit_count(x.bitwiseXOR(y)))
+        return both.filter(F.aggregate(flips, F.lit(0), lambda s, x: s + x) <= F.col("most")).select("a", "b")
 
     def verified(self, pairs: DataFrame) -> DataFrame:
         """Of pairs(a, b), those whose sets are similar enough. Sets of b meet that of a in tasks of about SALT."""
@@ -328,20 +331,21 @@ class Join:
 
     def similar(self) -> DataFrame:
         """doc_id, n_shingles, component_id (an id), component (a number, also where ids are equal or null)."""
-        first = self.first_step().checkpoint()
+        first = stored(self.first_step())
         release_shuffles(self.spark)
         documents = first.filter(F.col("kind") == DOCUMENT)
         edges = self.bands.edges.tolist()
         band = F.size(F.filter(F.array(*[F.lit(e) for e in edges if e < 1 << 31]), lambda e: e <= F.col("size"))) - 1
         nodes = documents.filter("home is not null").select(F.col("b").alias("node"), F.col("c").alias("size"), "home", "above").withColumn("band", band)
-        pairs = self.possible(first.filter(F.col("kind") == PAIR).select("a", "b"), nodes).checkpoint()
-        links = self.verified(pairs).select("a", "b").checkpoint()
+        pairs = self.possible(first.filter(F.col("kind") == PAIR).select("a", "b"), nodes)
+        pairs = stored(pairs)
+        links = stored(self.verified(pairs).select("a", "b"))
         release_shuffles(self.spark)
-        labels = components(links).checkpoint()
+        labels = stored(components(links))
         rest = self.hidden(first.filter(F.col("kind") == MEMBER), nodes, labels)
-        rest = rest.join(pairs, ["a", "b"], "left_anti").checkpoint()
+        rest = stored(rest.join(pairs, ["a", "b"], "left_anti"))
         if rest.limit(1).count():
-            more = self.verified(rest).select("a", "b").checkpoint()
+            more = stored(self.verified(rest).select("a", "b"))
             release_shuffles(self.spark)
             if more.limit(1).count():
                 labels = components(links.unionByName(more))
