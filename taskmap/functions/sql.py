@@ -5,6 +5,7 @@ from __future__ import annotations
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 from pyspark.sql.functions import pandas_udf
 
 from taskmap.graph import TaskGraph
@@ -23,7 +24,7 @@ def scalar_functions(topology: Topology) -> dict[str, str]:
     }
 
 
-@F.udtf(returnType="pe int, l1 int, l2 int, l3 int")
+@F.udtf(returnType=T.StructType([T.StructField(c, T.IntegerType()) for c in ("pe", "l1", "l2", "l3")]))
 class TopologyPes:
     """The PEs of a tree of up to three levels, with their components."""
 
@@ -34,7 +35,7 @@ class TopologyPes:
             yield (pe, *at[:3])
 
 
-@pandas_udf("double")
+@pandas_udf(T.DoubleType())
 def geo_mean_udf(x: pd.Series) -> float:
     """The geometric mean of positive numbers, as a grouped aggregate over Arrow."""
     import numpy as np
