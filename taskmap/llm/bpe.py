@@ -22,11 +22,11 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
-from taskmap.llm.common import documents, text_bytes, texts
+from taskmap.llm.common import documents, sliced, text_bytes, texts
 
 TOKENIZER = "word_bpe_49k.json"
 #: Entries that each cache of a worker holds at most; a full cache starts anew, which changes no result.
-CACHE = 400_000
+CACHE = 300_000
 
 
 def vocabulary_path(name: str = TOKENIZER) -> str:
@@ -174,19 +174,23 @@ def encode_documents(docs: DataFrame, path: str | None = None, ids: bool = True)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         bpe = loaded(path)
-        for batch in batches:
-            rows: list[list] = [[], [], [], [], []]
+        for batch in sliced(batches):
+            counts, sha, decoded_sha, all_ids, texts_again = [], [], [], [], []
             for raw in text_bytes(batch.column("text")):
                 packed = bpe.encode_bytes(raw.decode())
-                each = np.frombuffer(packed, "<u4").tolist()
-                decoded = bpe.decode_bytes(each)
-                got = (len(each), hashlib.sha256(packed).hexdigest(), hashlib.sha256(decoded).hexdigest(), each if ids else None, decoded.decode() if ids else None)
-                for column, value in zip(rows, got):
-                    column.append(value)
-            columns = [batch.column("doc_id"), pa.array(rows[0], pa.int64()), pa.array(rows[1], pa.string()), pa.array(rows[2], pa.string())]
+                decoded = bpe.decode_bytes(np.frombuffer(packed, "<u4").tolist())
+                counts.append(len(packed) // 4)
+                sha.append(hashlib.sha256(packed).hexdigest())
+                decoded_sha.append(hashlib.sha256(decoded).hexdigest())
+                if ids:
+                    all_ids.append(packed)
+                    texts_again.append(decoded)
+            columns = [batch.column("doc_id"), pa.array(counts, pa.int64()), pa.array(sha, pa.string()), pa.array(decoded_sha, pa.string())]
             names = ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"]
             if ids:
-                columns += [pa.array(rows[3], pa.list_(pa.int32())), pa.array(rows[4], pa.string())]
+                offsets = np.concatenate(([0], np.cumsum(counts, dtype=np.int64))).astype(np.int32)
+                values = pa.array(np.frombuffer(b"".join(all_ids), "<u4").astype(np.int32))
+                columns += [pa.ListArray.from_arrays(pa.array(offsets), values), pa.array(texts_again, pa.binary()).cast(pa.string())]
                 names += ["ids", "decoded"]
             yield pa.RecordBatch.from_arrays(columns, names)
 

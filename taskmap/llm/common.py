@@ -7,6 +7,7 @@ operator does not need are never read.
 from __future__ import annotations
 
 import math
+from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -73,6 +74,13 @@ def text_bytes(column: pa.ChunkedArray | pa.Array) -> list[bytes]:
     return [x or b"" for x in column.cast(pa.large_binary()).to_pylist()]
 
 
+def sliced(batches: Iterator[pa.RecordBatch], rows: int = 256) -> Iterator[pa.RecordBatch]:
+    """Record batches in short slices, so that what is made of texts in Python is held for a few of them only."""
+    for batch in batches:
+        for at in range(0, batch.num_rows, rows):
+            yield batch.slice(at, rows)
+
+
 def checkpoint_dir(spark: SparkSession) -> str | None:
     """The shared folder for checkpoints, as the session names it."""
     return spark.conf.get("spark.checkpoint.dir", None)

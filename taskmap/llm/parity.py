@@ -310,23 +310,38 @@ class Join:
         told = told.join(nodes, "node").select("key", "block", "node", "component", "minor", "size", short.alias("short"))
 
         def compare(table: pa.Table) -> pa.Table:
+            """Many groups at once: rows lie group by group, and pairs at each distance within a group are compared together."""
+            table = table.sort_by([("key", "ascending"), ("block", "ascending")])
+            lists = table.column("short").combine_chunks()
+            words, lengths = lists.flatten().to_numpy().view(U64), np.diff(lists.offsets.to_numpy())
+            starts = np.cumsum(lengths) - lengths
             minor = table.column("minor").to_numpy(zero_copy_only=False)
-            short = table.column("short").combine_chunks().flatten().to_numpy().view(U64).reshape(len(table), -1)
-            size, component, node = (table.column(c).to_numpy() for c in ("size", "component", "node"))
+            key, block, size, component, node = (table.column(c).to_numpy() for c in ("key", "block", "size", "component", "node"))
             left, right = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
-            for i in np.flatnonzero(minor):
-                near = (component != component[i]) & (100 * np.minimum(size, size[i]) >= bands.percent * np.maximum(size, size[i]))
-                near &= ~minor | (node > node[i])  # pairs of two such members once
-                some = np.flatnonzero(near)
-                if len(some):
-                    apart = np.bitwise_count(short[some] ^ short[i]).sum(1, dtype=np.int64)
-                    some = some[apart <= (size[some] + size[i]) * (100 - bands.percent) // (100 + bands.percent)]
-                    left.append(np.minimum(node[some], node[i]))
-                    right.append(np.maximum(node[some], node[i]))
+            at = np.arange(len(key))
+            step = 0
+            while len(at):
+                step += 1
+                at = at[at + step < len(key)]
+                at = at[(key[at] == key[at + step]) & (block[at] == block[at + step])]
+                i, j = at, at + step
+                small, large = np.minimum(size[i], size[j]), np.maximum(size[i], size[j])
+                near = (component[i] != component[j]) & (minor[i] | minor[j]) & (100 * small >= bands.percent * large)
+                i, j = i[near], j[near]
+                most = (size[i] + size[j]) * (100 - bands.percent) // (100 + bands.percent)
+                for n in np.unique(lengths[i]):  # a group's sketches have one length
+                    some = lengths[i] == n
+                    span = np.arange(n)
+                    apart = np.bitwise_count(words[starts[i[some]][:, None] + span] ^ words[starts[j[some]][:, None] + span]).sum(1, dtype=np.int64)
+                    good = apart <= most[some]
+                    left.append(np.minimum(node[i[some][good]], node[j[some][good]]))
+                    right.append(np.maximum(node[i[some][good]], node[j[some][good]]))
             a, b = np.concatenate(left), np.concatenate(right)
             return _found(PAIR, a, b, np.zeros(len(a), np.int64))
 
-        found = told.groupBy("key", "block").applyInArrow(compare, FOUND)
+        # whole groups meet in buckets, as most are tiny
+        bucket = F.pmod(F.xxhash64("key", "block"), F.lit(16 * self.n)).cast("int")
+        found = told.withColumn("bucket", bucket).groupBy("bucket").applyInArrow(lambda t: relieved(compare(t)), FOUND)
         return found.select("a", "b").distinct()
 
     def similar(self) -> DataFrame:

@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from taskmap.llm.common import U64, documents, table, text_bytes, texts
+from taskmap.llm.common import U64, documents, sliced, table, text_bytes, texts
 from taskmap.llm.learning import fold, labelled_sample, sigmoid
 
 #: Labelled rows learnt from at most: label 0, label 1.
@@ -114,7 +114,7 @@ def score_documents(docs: DataFrame, model: QualityModel) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own, hasher = shared.value, Hasher()
-        for batch in batches:
+        for batch in sliced(batches):
             score = np.array([own.score(hasher.slots(raw)) for raw in text_bytes(batch.column("text"))], float)
             columns = [batch.column("doc_id"), pa.array(score), pa.array((score >= THRESHOLD).astype(np.int32))]
             yield pa.RecordBatch.from_arrays(columns, ["doc_id", "score", "predicted"])
@@ -128,7 +128,7 @@ def keep_good(docs: DataFrame, model: QualityModel) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own, hasher = shared.value, Hasher()
-        for batch in batches:
+        for batch in sliced(batches):
             kept = [own.score(hasher.slots(raw)) >= THRESHOLD for raw in text_bytes(batch.column("text"))]
             yield batch.filter(pa.array(kept, pa.bool_()))
 

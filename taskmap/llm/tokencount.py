@@ -20,7 +20,7 @@ from collections.abc import Callable, Iterator
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
-from taskmap.llm.common import documents, text_bytes, texts
+from taskmap.llm.common import documents, sliced, text_bytes, texts
 
 VOCABULARY = "piece_bpe_32k.model"
 START = "▁"
@@ -115,7 +115,7 @@ def token_counts(docs: DataFrame, path: str | None = None) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         trie = worker_trie(path)
-        for batch in batches:
+        for batch in sliced(batches):
             words = [raw.split() for raw in text_bytes(batch.column("text"))]
             tokens = [sum(map(trie.count_word, w)) for w in words]
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array([len(w) for w in words], pa.int64()), pa.array(tokens, pa.int64())], ["doc_id", "n_words", "n_tokens"])

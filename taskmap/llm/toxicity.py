@@ -32,7 +32,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from taskmap.llm.common import documents, table, text_bytes, texts
+from taskmap.llm.common import documents, sliced, table, text_bytes, texts
 from taskmap.llm.learning import fold, labelled_sample, logistic, sigmoid
 
 #: Labelled rows learnt from at most: ordinary, toxic.
@@ -149,7 +149,7 @@ def score_documents(docs: DataFrame, model: ToxicityModel) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         gain = model.gains()
-        for batch in batches:
+        for batch in sliced(batches):
             x = np.array([model.features(raw.decode(), gain) for raw in text_bytes(batch.column("text"))], float).reshape(-1, 2)
             score = model.score(x)
             columns = [batch.column("doc_id"), pa.array(x[:, 0].astype(np.int32)), pa.array(score), pa.array((score >= THRESHOLD).astype(np.int32))]
