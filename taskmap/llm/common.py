@@ -19,6 +19,9 @@ NULL_ID = -(1 << 63)
 
 U64 = np.uint64
 
+#: Runtime setting: shuffle files go when the query that wrote them has ended.
+CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+
 
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
@@ -33,10 +36,17 @@ def texts(docs: DataFrame, *more: Column) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text"), F.lit("")).alias("text"), *more)
 
 
+#: From here on an estimate is no knowledge: sources without statistics count as 2^63 bytes, joins multiply.
+UNKNOWN = 1 << 55
+
+
 def size_estimate(df: DataFrame) -> int:
-    """Bytes of the input as the optimizer knows them from file sizes; no job runs."""
-    stats = df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()
-    return int(str(stats))
+    """Bytes of the input as the optimizer knows them from file sizes. Where it knows nothing, a job adds up the texts."""
+    stats = int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+    if stats < UNKNOWN:
+        return stats
+    told = df.agg(F.sum(F.octet_length("text")) if "text" in df.columns else F.count("*") * 1000).head()[0]
+    return int(told or 0)
 
 
 def parts_for(df: DataFrame, target_mb: float, least: int = 1, most: int = 1 << 20) -> int:
@@ -120,13 +130,14 @@ def stored(df: DataFrame) -> DataFrame:
     spark = df.sparkSession
     ensure_checkpoints(spark)
     path = f"{spark.sparkContext._jsc.sc().getCheckpointDir().get()}/rows-{uuid.uuid4().hex}"
-    df.write.option("compression", "zstd").parquet(path)
+    before = spark.conf.get(CLEANUP, None)
+    spark.conf.set(CLEANUP, "true")  # of this write: nothing reads its shuffles later
+    try:
+        df.write.option("compression", "zstd").parquet(path)
+    finally:
+        if before is None:
+            spark.conf.unset(CLEANUP)
+        else:
+            spark.conf.set(CLEANUP, before)
     return spark.read.schema(df.schema).parquet(path)
 
-
-def release_shuffles(spark: SparkSession) -> None:
-    """Lets the cleaner drop the shuffle files of plans that nothing refers to any more; it follows the driver's GC."""
-    import gc
-
-    gc.collect()
-    spark.sparkContext._jvm.System.gc()

@@ -9,13 +9,12 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from taskmap.llm.common import ensure_checkpoints
+from taskmap.llm.common import stored
 
 
 def components(links: DataFrame, most_rounds: int = 60) -> DataFrame:
     """node, component: the smallest node that links(a, b) reach; only nodes that have a link to another one."""
-    ensure_checkpoints(links.sparkSession)
-    pairs = links.filter("a <> b").select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).distinct().checkpoint()
+    pairs = stored(links.filter("a <> b").select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).distinct())
     for _ in range(most_rounds):
         # large star: what is larger than a node is linked with the node's least neighbour
         both = pairs.unionByName(pairs.select(F.col("v").alias("u"), F.col("u").alias("v")))
@@ -25,7 +24,7 @@ def components(links: DataFrame, most_rounds: int = 60) -> DataFrame:
         low = large.groupBy("u").agg(F.min("v").alias("m"))
         joined = large.join(low, "u")
         small = joined.select(F.col("v").alias("u"), F.col("m").alias("v")).unionByName(low.select("u", F.col("m").alias("v")))
-        new = small.filter("u <> v").distinct().checkpoint()
+        new = stored(small.filter("u <> v").distinct())
         changed = new.join(pairs, ["u", "v"], "left_anti").limit(1).count() + pairs.join(new, ["u", "v"], "left_anti").limit(1).count()
         pairs = new
         if not changed:

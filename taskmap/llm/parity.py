@@ -15,7 +15,7 @@ The join returns classes of links, not pairs, and never forms all pairs of a gro
    the group's first (in large groups: of its chunk, and chunks in turn). A short sketch of each set (a bit for each
    shingle, about) drops pairs whose Hamming distance already passes what a link may differ by. The others are verified
    with whole sets, which meet in tasks of at most SALT sets, and the links' components are formed.
-2. Only groups that still hold several components can hide a link. In these, members outside the group's largest
+2. Only groups that still hold several components can hide a link. In these, members outside the group's first
    component meet all others, in blocks, by their short sketches; pairs of different components that a link may join are
    verified as before. Pairs within a component need no check. After that no link between components is left.
 
@@ -36,7 +36,7 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from taskmap.llm.batches import WordHashes, batched, counted, in_order, packed, shard_bounds, unpacked
-from taskmap.llm.common import NULL_ID, U64, documents, ensure_checkpoints, mixed, release_shuffles, relieved, stored
+from taskmap.llm.common import NULL_ID, U64, documents, ensure_checkpoints, mixed, relieved, stored
 from taskmap.llm.components import components
 
 GRAM, PERCENT = 3, 90
@@ -227,12 +227,14 @@ class Join:
             keys, sizes = unpacked(table, "keys", "u8")
             rows = unpacked(table, "rows", "u4")[0].astype(np.int64)
             nodes = (np.repeat(table.column("batch").to_numpy().astype(np.int64), sizes) << 32) + (rows >> 1)
-            order = np.lexsort((nodes, keys))
+            order = np.lexsort((nodes, rows & 1, keys))  # those of the key's own band first
             k, v, above = keys[order], nodes[order], rows[order] & 1
             starts = np.flatnonzero(np.append(True, k[1:] != k[:-1])) if len(k) else np.zeros(0, np.int64)
             counts = np.diff(np.append(starts, len(k)))
-            often = np.repeat(counts > 1, counts)
-            k, v, above, counts = k[often], v[often], above[often], counts[counts > 1]
+            # members that are all from the band below meet under that band's keys
+            useful = (counts > 1) & (above[starts] == 0) if len(k) else np.zeros(0, bool)
+            often = np.repeat(useful, counts)
+            k, v, above, counts = k[often], v[often], above[often], counts[useful]
             left, right = tied(np.cumsum(counts) - counts, counts, v)
             order = np.lexsort((right, left))
             left, right = left[order], right[order]
@@ -300,9 +302,9 @@ class Join:
         bands = self.bands
         own = members.select(F.col("a").alias("key"), F.col("b").alias("node"), F.col("c").alias("upper"))
         own = own.join(labels, "node", "left").withColumn("component", F.coalesce("component", "node"))
-        each = own.groupBy("key", "component").agg(F.count("*").alias("n"))
-        several = each.groupBy("key").agg(F.max(F.struct("n", "component")).alias("top"), F.count("*").alias("components"), F.sum("n").alias("m")).filter("components > 1")
-        told = own.join(several.select("key", F.col("top.component").alias("major"), F.ceil(F.col("m") / BLOCK).cast("int").alias("blocks")), "key")
+        group = W.partitionBy("key")
+        own = own.withColumns({"major": F.min("component").over(group), "other": F.max("component").over(group), "m": F.count("*").over(group)})
+        told = own.filter("major <> other").withColumn("blocks", F.ceil(F.col("m") / BLOCK).cast("int"))
         minor = F.col("component") != F.col("major")
         home = F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int")
         told = told.select("key", "node", "upper", "component", minor.alias("minor"), F.explode(F.when(minor, F.sequence(F.lit(0), F.col("blocks") - 1)).otherwise(F.array(home))).alias("block"))
@@ -347,7 +349,6 @@ class Join:
     def similar(self) -> DataFrame:
         """doc_id, n_shingles, component_id (an id), component (a number, also where ids are equal or null)."""
         first = stored(self.first_step())
-        release_shuffles(self.spark)
         documents = first.filter(F.col("kind") == DOCUMENT)
         edges = self.bands.edges.tolist()
         band = F.size(F.filter(F.array(*[F.lit(e) for e in edges if e < 1 << 31]), lambda e: e <= F.col("size"))) - 1
@@ -355,13 +356,11 @@ class Join:
         pairs = self.possible(first.filter(F.col("kind") == PAIR).select("a", "b"), nodes)
         pairs = stored(pairs)
         links = stored(self.verified(pairs).select("a", "b"))
-        release_shuffles(self.spark)
         labels = stored(components(links))
         rest = self.hidden(first.filter(F.col("kind") == MEMBER), nodes, labels)
         rest = stored(rest.join(pairs, ["a", "b"], "left_anti"))
         if rest.limit(1).count():
             more = stored(self.verified(rest).select("a", "b"))
-            release_shuffles(self.spark)
             if more.limit(1).count():
                 labels = components(links.unionByName(more))
         rows = documents.select(F.col("a").alias("doc_id"), F.col("b").alias("node"), F.col("c").alias("n_shingles"))

@@ -84,7 +84,8 @@ class SuffixFamily:
             known |= level[at] == distinct
         repeated = np.zeros(len(own), bool)
         repeated[array] = ~fresh | known[np.cumsum(fresh) - 1]
-        self.levels.append(distinct[~known])
+        if not known.all():
+            self.levels.append(distinct[~known])
         while len(self.levels) > 1 and len(self.levels[-2]) < 2 * len(self.levels[-1]):
             newer, older = self.levels.pop(), self.levels.pop()
             self.levels.append(np.sort(np.concatenate((older, newer)), kind="stable"))  # two runs: a merge
