@@ -36,14 +36,16 @@ def texts(docs: DataFrame, *more: Column) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text"), F.lit("")).alias("text"), *more)
 
 
-#: From here on an estimate is no knowledge: sources without statistics count as 2^63 bytes, joins multiply.
+#: From here on an estimate is no knowledge: sources without statistics count as 2^63 bytes.
 UNKNOWN = 1 << 55
 
 
 def size_estimate(df: DataFrame) -> int:
-    """Bytes of the input as the optimizer knows them from file sizes. Where it knows nothing, a job adds up the texts."""
-    stats = int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
-    if stats < UNKNOWN:
+    """Bytes of the input as the optimizer knows them from file sizes. Where it doesn't know (or multiplies the sides of a
+    join), a job adds up the texts."""
+    plan = df._jdf.queryExecution().optimizedPlan()
+    stats = int(str(plan.stats().sizeInBytes()))
+    if stats < UNKNOWN and "Join " not in plan.toString():
         return stats
     told = df.agg(F.sum(F.octet_length("text")) if "text" in df.columns else F.count("*") * 1000).head()[0]
     return int(told or 0)
