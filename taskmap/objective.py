@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from pyspark.sql import Column, DataFrame
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from taskmap.graph import TaskGraph
@@ -107,8 +108,9 @@ def gains(conn: DataFrame, mapping: DataFrame, topology: Topology | MatrixTopolo
         candidates = conn.join(own, "id").filter("pe <> pe_old").select("id", F.col("pe").alias("pe_new"))
     stay = own.join(candidates.select("id").distinct(), "id", "left_semi").select("id", F.col("pe_old").alias("pe_new"))
     every = costs(conn, candidates.select("id", "pe_new").unionByName(stay), topology)
-    now = every.join(own, "id").filter("pe_new = pe_old").select("id", "pe_old", F.col("cost").alias("now"))
-    return every.join(now, "id").filter("pe_new <> pe_old").select("id", "pe_old", "pe_new", (F.col("now") - F.col("cost")).alias("gain"))
+    now = F.max(F.when(F.col("pe_new") == F.col("pe_old"), F.col("cost"))).over(W.partitionBy("id"))
+    both = every.join(own, "id").withColumn("now", now)
+    return both.filter("pe_new <> pe_old").select("id", "pe_old", "pe_new", (F.col("now") - F.col("cost")).alias("gain"))
 
 
 def cut_gains(conn: DataFrame, mapping: DataFrame, candidates: DataFrame | None = None) -> DataFrame:

@@ -14,6 +14,7 @@ from taskmap.operators import matching as mt
 from taskmap.operators import moves as lp
 from taskmap.operators import rebalance as rb
 from taskmap.plans import multisection as ms
+from taskmap.plans.iterate import barrier
 from taskmap.plans.refine import limits
 from taskmap.queries import text as q
 from taskmap.sources import graphs as src
@@ -273,7 +274,7 @@ def start(spark: SparkSession, d: str) -> tuple[TaskGraph, DataFrame, DataFrame]
 
 def first_round(spark: SparkSession, d: str) -> tuple[TaskGraph, DataFrame, DataFrame, DataFrame]:
     g, m, conn = start(spark, d)
-    return g, m, conn, lp.label_propagation(g.edges, conn, m, T32)
+    return g, m, conn, barrier(lp.label_propagation(g.edges, conn, m, T32))  # a round ends in a barrier
 
 
 @query("connectivity", f"WITH {START} SELECT id, pe, w FROM conn")

@@ -13,6 +13,7 @@ from taskmap.operators import contraction as ct
 from taskmap.operators import matching as mt
 from taskmap.operators import moves as lp
 from taskmap.operators import rebalance as rb
+from taskmap.plans.iterate import barrier
 from taskmap.plans.refine import limits
 from taskmap.queries.mappers import EIGHT, eight_tasks
 from taskmap.topology import MatrixTopology, Topology, load_bound
@@ -63,13 +64,13 @@ def test_contraction_keeps_costs_and_weights(spark, eight):
 
 def test_one_round_of_label_propagation(spark, eight):
     m = mapping(spark, [0, 1, 0, 1, 2, 3, 2, 3])
-    conn = ob.connectivity(eight.edges, m)
-    proposals = lp.propose(conn, m, TWO)
+    conn = barrier(ob.connectivity(eight.edges, m))
+    proposals = barrier(lp.propose(conn, m, TWO))
     assert rows(proposals, "id", "pe_new", "gain") == [(0, 1, 2), (1, 0, 2), (2, 1, 2), (3, 0, 2), (4, 3, 2), (5, 2, 2), (6, 3, 2), (7, 2, 2)]
     again = lp.reevaluated(eight.edges, proposals, m, TWO)
     assert rows(again, "id", "regain") == [(0, 2), (1, -8), (2, 8), (3, -2), (4, 2), (5, -8), (6, 8), (7, -2)]
-    moves = lp.label_propagation(eight.edges, conn, m, TWO)
-    after = lp.apply_moves(m, moves)
+    moves = barrier(lp.label_propagation(eight.edges, conn, m, TWO))
+    after = barrier(lp.apply_moves(m, moves))
     assert [r[1] for r in rows(after, "id", "pe")] == [1, 1, 1, 1, 3, 3, 3, 3]
     assert ob.objective(eight, after, TWO).head()["j"] == 60
     assert ob.edge_cut(eight, after).head()["cut"] == 3
@@ -82,15 +83,15 @@ def test_one_round_of_label_propagation(spark, eight):
 def test_rebalancing(spark, eight):
     config = Config()
     m = mapping(spark, [1, 1, 1, 1, 3, 3, 3, 3])
-    conn = ob.connectivity(eight.edges, m)
-    blocks = rb.block_table(eight.vertices, m, limits(spark, 4, 8, config))
+    conn = barrier(ob.connectivity(eight.edges, m))
+    blocks = barrier(rb.block_table(eight.vertices, m, limits(spark, 4, 8, config)))
     assert rows(blocks, "pe", "weight", "bound") == [(0, 0, 3), (1, 4, 3), (2, 0, 3), (3, 4, 3)]
     weak = rb.weak(eight.vertices, conn, m, blocks, TWO, config)
     assert rows(weak, "id", "gain", "bucket") == [(0, -10, 5), (4, -9, 5)] or [r[0] for r in rows(weak, "id")] == [0, 4]
     assert not rb.weak(eight.vertices, conn, m, blocks, TWO, config.but(sigma_mode="absolute")).count()
     strong = rb.strong(eight.vertices, conn, m, blocks, TWO, config)
     assert rows(strong, "id", "pe_new") == [(0, 0), (4, 0)]
-    after = lp.apply_moves(m, strong)
+    after = barrier(lp.apply_moves(m, strong))
     assert [r[1] for r in rows(after, "id", "pe")] == [0, 1, 1, 1, 0, 3, 3, 3]
     assert ob.objective(eight, after, TWO).head()["j"] == 218
 
