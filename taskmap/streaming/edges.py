@@ -22,7 +22,8 @@ EVENT = "event_id long, ts timestamp, user_id long"
 
 
 def on_time(events: DataFrame, late: str = LATE) -> DataFrame:
-    return events.withWatermark("ts", late) if events.isStreaming else events
+    """A watermark on streams, whose event time must be a timestamp with time zone; batches stay as they are."""
+    return events.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", late) if events.isStreaming else events
 
 
 def window_activity(events: DataFrame, width: str = "10 minutes", slide: str | None = None, late: str = LATE) -> DataFrame:
@@ -55,7 +56,7 @@ def session_counts(events: DataFrame, gap: str = "15 minutes", late: str = LATE)
 def distinct_events(events: DataFrame, late: str = LATE) -> DataFrame:
     """Each event once, as far as repeats arrive within the watermark."""
     if events.isStreaming:
-        return events.withWatermark("ts", late).dropDuplicatesWithinWatermark(["event_id"])
+        return on_time(events, late).dropDuplicatesWithinWatermark(["event_id"])
     return events.dropDuplicates(["event_id"])
 
 

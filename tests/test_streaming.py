@@ -23,6 +23,7 @@ def drained(df, name, mode="append"):
 def test_window_edges(spark, tiny, tmp_path):
     batch, stream = staged(spark, tiny, tmp_path)
     got = drained(st.window_edges(stream, "10 minutes"), "w_edges")
+    batch = batch.withColumn("ts", F.col("ts").cast("timestamp"))
     last = batch.agg(F.max("ts")).head()[0]
     want = st.window_edges(batch, "10 minutes").filter(F.col("start") + F.expr("INTERVAL 41 MINUTES") < F.lit(last))
     # windows that the watermark has closed are complete and equal
