@@ -138,7 +138,6 @@ def test_classifiers_on_odd_tables(odd, nothing, spark):
     none = quality.fit([])
     assert all(0 <= r["score"] <= 1 for r in quality.score_documents(odd, none).collect())
     assert quality.keep_good(odd, none).columns == odd.columns
-    del spark
 
 
 @pytest.mark.parametrize("name, label, n, held, threshold", [("op5_quality", "quality", 5, 0, 0.3), ("op3_toxicity", "toxic", 3, 1, 0.7)])
@@ -172,11 +171,10 @@ def test_merkle(odd, nothing):
 def test_merkle_compares(a, b):
     x, y = merkle.tree(a), merkle.tree(b)
     assert (x.fingerprint == y.fingerprint) == (a == b)
-    likeness, ours, theirs = merkle.compare(x, y)
+    likeness, _, _ = merkle.compare(x, y)
     assert 0 <= likeness <= 1 and (likeness == 1) >= (a == b)
     assert "".join(merkle.phrases(a)) == a
     assert merkle.compare(y, x)[0] == pytest.approx(likeness)
-    del ours, theirs
 
 
 def test_merkle_locates_an_edit():
