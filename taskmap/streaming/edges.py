@@ -19,6 +19,8 @@ from taskmap.topology import Topology
 
 LATE = "30 minutes"
 EVENT = "event_id long, ts timestamp, user_id long"
+#: Users of a window in one block; a row makes at most the square of it at once.
+BLOCK = 256
 
 
 def on_time(events: DataFrame, late: str = LATE) -> DataFrame:
@@ -32,19 +34,21 @@ def window_activity(events: DataFrame, width: str = "10 minutes", slide: str | N
     return on_time(events, late).groupBy(span.alias("span"), "user_id").agg(F.count("*").alias("n")).select(F.col("span.start").alias("start"), "user_id", "n")
 
 
-def window_edges(events: DataFrame, width: str = "10 minutes", slide: str | None = None, late: str = LATE, most: int = 64) -> DataFrame:
+def window_edges(events: DataFrame, width: str = "10 minutes", slide: str | None = None, late: str = LATE) -> DataFrame:
     """start, a, b, w: users with events in one window; w is the product of their numbers of events.
 
-    A window's users are gathered in sorted order; one with more than `most` users links neighbours in that order instead
-    of all pairs, so a window never makes more than a bounded number of rows for each user.
+    All pairs of a window, whatever its size. Its users are gathered in sorted order and cut into blocks; a pair of blocks
+    is a row of its own and dealt out before it becomes pairs of users, so a hot window is spread over all tasks.
     """
     span = F.window("ts", width, slide) if slide else F.window("ts", width)
-    users = on_time(events, late).groupBy(span.alias("span")).agg(F.array_sort(F.collect_list("user_id")).alias("u")).select(F.col("span.start").alias("start"), "u")
-    runs = F.expr("transform(array_distinct(u), x -> struct(x as id, cast(size(filter(u, y -> y = x)) as bigint) as n))")
-    reach = F.expr(f"CASE WHEN size(r) <= {most} THEN size(r) ELSE 1 END")
-    pairs = F.expr("flatten(transform(r, (p, i) -> transform(slice(r, i + 2, least(reach, greatest(size(r) - i - 1, 0))), q -> struct(p.id as a, q.id as b, p.n * q.n as w))))")
-    own = users.withColumn("r", runs).withColumn("reach", reach)
-    return own.select("start", F.explode(pairs).alias("p")).select("start", "p.a", "p.b", "p.w")
+    own = on_time(events, late).filter("user_id IS NOT NULL").groupBy(span.alias("span"), F.col("user_id").alias("id")).agg(F.count("*").alias("n"))
+    users = own.groupBy("span").agg(F.array_sort(F.collect_list(F.struct("id", "n"))).alias("r")).select(F.col("span.start").alias("start"), "r")
+    first = users.select("start", "r", F.explode(F.expr(f"sequence(0, size(r) - 1, {BLOCK})")).alias("i"))
+    both = first.select("start", "r", "i", F.explode(F.expr(f"sequence(i, size(r) - 1, {BLOCK})")).alias("j"))
+    blocks = both.select("start", "i", "j", F.expr(f"slice(r, i + 1, {BLOCK})").alias("x"), F.expr(f"slice(r, j + 1, {BLOCK})").alias("y"))
+    pairs = F.expr("flatten(transform(x, p -> transform(filter(y, q -> q.id > p.id), q -> struct(p.id as a, q.id as b, p.n * q.n as w))))")
+    tasks = int(events.sparkSession.conf.get("spark.sql.shuffle.partitions"))  # by number, as few bytes of blocks make many pairs
+    return blocks.repartition(tasks, "start", "i", "j").select("start", F.explode(pairs).alias("p")).select("start", "p.a", "p.b", "p.w")
 
 
 def session_counts(events: DataFrame, gap: str = "15 minutes", late: str = LATE) -> DataFrame:
