@@ -17,6 +17,8 @@ from taskmap.plans.multisection import multisection
 from taskmap.topology import MatrixTopology, Topology, load_bound
 
 #: Quality and speed settings of the serial baselines.
+#: They run in one task whatever the graph's size, so no level goes to the distributed mapper.
+SERIAL = {"small_edges": 1 << 62}
 PRESETS = {"strong": {"restarts": 4, "passes": 3, "match_rounds": 12}, "fast": {"restarts": 1, "passes": 1, "patience": 4}}
 
 
@@ -48,12 +50,10 @@ def serial_multisection(graph: TaskGraph, topology: Topology, preset: str, confi
 def serial_integrated(graph: TaskGraph, topology: Topology, preset: str, config: Config = Config()) -> DataFrame:
     """id, pe: the multilevel mapper with serial label propagation after the last level, at quality or speed settings.
 
-    Runs in one task, so for graphs below config.small_edges; larger ones take the distributed mapper's levels.
+    Runs in one task whatever the size: the graph has to fit into its memory, else the task fails.
     """
-    own = config.but(**PRESETS[preset])
+    own = config.but(**PRESETS[preset], **SERIAL)
     first = multilevel_map(graph, topology, own)
-    if graph.edges.count() > config.small_edges:
-        return first
     total = graph.vertices.agg(F.sum("c").alias("c")).head()["c"]
     bound = np.full(topology.k, load_bound(total, topology.k, config.eps_num, config.eps_den))
     dist, rounds = topology.dense(), 20 if preset == "strong" else 3

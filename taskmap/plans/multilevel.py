@@ -84,7 +84,7 @@ def together(graph: TaskGraph, part: DataFrame | None = None, start: DataFrame |
 
 
 def in_kernel(graph: TaskGraph, run, part: DataFrame | None = None, start: DataFrame | None = None) -> DataFrame:
-    """id, pe from run(Small, start or None, part), one task for each part. Only for graphs below config.small_edges."""
+    """id, pe from run(Small, start or None, part), one task for each part. For graphs below config.small_edges, and the serial baselines."""
 
     given = start is not None
 

@@ -5,8 +5,14 @@ import datetime as dt
 import duckdb
 from pyspark.sql import functions as F
 
+from taskmap.config import Config
+from taskmap.plans import baselines as bl
+from taskmap.plans.iterate import barrier
 from taskmap.queries import SQL
+from taskmap.sources.generators import grid
+from taskmap.sources.graphs import trivial_mapping
 from taskmap.streaming import edges as st
+from taskmap.topology import Topology
 
 
 def hot_window(tmp_path):
@@ -30,3 +36,16 @@ def test_window_edges_of_a_hot_window(spark, tmp_path):
         got = st.window_edges(events, "10 minutes", slide).select(F.col("start").cast("long"), "a", "b", "w")
         assert sorted(map(tuple, got.collect())) == want
     assert len(want) > 300 * 299 // 2
+
+
+def test_serial_baseline_stays_serial(spark, monkeypatch):
+    g = grid(spark, 8, 8)
+    g = type(g)(barrier(g.vertices), barrier(g.edges))
+    t, asked = Topology.parse("2:2", "1:10"), []
+    start = trivial_mapping(g.vertices, 4)
+    monkeypatch.setattr(bl, "multilevel_map", lambda graph, topology, config: asked.append(config) or start)
+    pes = lambda m: [r["pe"] for r in m.orderBy("id").collect()]
+    # on a graph above small_edges too, the serial pass follows, and no level goes to the distributed mapper
+    got = pes(bl.serial_integrated(g, t, "strong", Config(small_edges=100)))
+    assert got == pes(bl.sequential_lp(g, start, t, Config(), 20)) != pes(start)
+    assert asked[0].small_edges > g.edges.count()
