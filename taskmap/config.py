@@ -28,6 +28,7 @@ class Config:
     max_weak: int = 2
     passes: int = 1
     rounds: int = 200  # ours: cap of all rounds of a refinement
+    local_search: str = "none"  # "fm": the kernel's gain-ordered local search follows each refinement
     filter_mode: str = "nonnegative"
     relaxed_c: float = 0.25  # ours: the value is not published
     rebalance_objective: str = "cut"

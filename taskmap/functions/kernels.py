@@ -304,6 +304,87 @@ def refine(g: Small, pe: np.ndarray, dist: np.ndarray, bound: np.ndarray, config
     return best
 
 
+def improve(g: Small, pe: np.ndarray, dist: np.ndarray, bound: np.ndarray, config: Config) -> np.ndarray:
+    """The refinement of a level: the loop, and the local search where the settings ask for it."""
+    pe = refine(g, pe, dist, bound, config)
+    return local_search(g, pe, dist, bound) if config.local_search == "fm" else pe
+
+
+def local_search(g: Small, pe: np.ndarray, dist: np.ndarray, bound: np.ndarray) -> np.ndarray:
+    """Passes of single moves, best gain first and losses too, until a pass gains nothing.
+
+    In a pass each vertex moves at most once, into a block of a neighbour that has room; what is left of the pass is its
+    prefix of least cost. Blocks never pass their bounds by a move, so no excess grows.
+    """
+    pe, k, dist = pe.copy(), len(bound), dist.astype(float)
+    load = np.bincount(pe, weights=g.c, minlength=k).astype(np.int64)
+    rows, w = g.rows(), g.w.astype(float)
+    conn = connectivity(g, pe, k).astype(float)
+    cost = conn @ dist
+
+    def shift(v: int, b: int) -> np.ndarray:
+        a, e = pe[v], slice(rows[v], rows[v + 1])
+        near = g.dst[e]
+        conn[near, a] -= w[e]
+        conn[near, b] += w[e]
+        cost[near] += w[e][:, None] * (dist[b] - dist[a])
+        load[a] -= g.c[v]
+        load[b] += g.c[v]
+        pe[v] = b
+        return near
+
+    while True:
+        locked = np.zeros(g.n, bool)
+        queue: list[tuple[float, int, int]] = []
+        told: dict[int, tuple[float, int]] = {}
+        waiting: list[set[int]] = [set() for _ in range(k)]
+
+        def offer(v: int) -> None:
+            """Queues the vertex's best move that fits, and notes where a better one waits for room."""
+            own = pe[v]
+            gain = np.where(conn[v] > 0, cost[v, own] - cost[v], -np.inf)
+            gain[own] = -np.inf
+            full = load + g.c[v] > bound
+            open_ = np.where(full, -np.inf, gain)
+            b = int(open_.argmax())
+            for t in np.flatnonzero(full & (gain > open_[b])):
+                waiting[t].add(v)
+            if open_[b] == -np.inf:
+                told.pop(v, None)
+            elif told.get(v) != (move := (float(open_[b]), b)):
+                told[v] = move
+                heapq.heappush(queue, (-move[0], v, b))
+
+        for v in np.flatnonzero((conn > 0).sum(1) - (conn[np.arange(g.n), pe] > 0) > 0).tolist():
+            offer(v)
+        moved: list[tuple[int, int]] = []
+        total = top = 0.0
+        kept = 0
+        while queue:
+            loss, v, b = heapq.heappop(queue)
+            if locked[v] or told.get(v) != (-loss, b):
+                continue
+            if load[b] + g.c[v] > bound[b]:
+                del told[v]
+                offer(v)
+                continue
+            a = int(pe[v])
+            locked[v] = True
+            moved.append((v, a))
+            near = shift(v, b)
+            total -= loss
+            if total > top:
+                top, kept = total, len(moved)
+            again = {int(u) for u in near if not locked[u]} | {u for u in waiting[a] if not locked[u]}
+            waiting[a] = set()
+            for u in sorted(again):
+                offer(u)
+        for v, a in reversed(moved[kept:]):
+            shift(v, a)
+        if not kept:
+            return pe
+
+
 def _largest_first(g: Small, pe: np.ndarray, bound: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """The last resort: vertices of overloaded blocks, heaviest first, go where they fit with least load."""
     load = np.bincount(pe, weights=g.c, minlength=len(bound)).astype(np.int64)
@@ -420,12 +501,12 @@ def multilevel(g: Small, dist: np.ndarray, bound: np.ndarray, config: Config, in
     starts = []
     for r in range(max(1, config.restarts)):
         pe = initial(now, config.but(seed=config.seed + r))
-        pe = refine(now, pe, dist, bound, config)
+        pe = improve(now, pe, dist, bound, config)
         load = np.bincount(pe, weights=now.c, minlength=len(bound))
         starts.append((max(0, int((load - bound).max())), objective(now, pe, dist), r, pe))
     pe = min(starts, key=lambda x: x[:3])[3]
     for fine, coarse in reversed(levels):
-        pe = refine(fine, pe[coarse], dist, bound, config)
+        pe = improve(fine, pe[coarse], dist, bound, config)
     return pe
 
 

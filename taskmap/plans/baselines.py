@@ -21,6 +21,9 @@ from taskmap.topology import MatrixTopology, Topology, load_bound
 SERIAL = {"small_edges": 1 << 62}
 PRESETS = {"strong": {"restarts": 4, "passes": 3, "match_rounds": 12}, "fast": {"restarts": 1, "passes": 1, "patience": 4}}
 
+#: The local search of the partitioner in serial multisection.
+SEARCH = {"strong": "fm", "fast": "none"}
+
 
 def place_blocks(quotient: DataFrame, topology: Topology | MatrixTopology) -> DataFrame:
     """block, pe: the one-to-one problem on a quotient graph of at most k squared rows, greedy and then by swaps, in one task."""
@@ -43,8 +46,8 @@ def two_phase(graph: TaskGraph, topology: Topology | MatrixTopology, config: Con
 
 
 def serial_multisection(graph: TaskGraph, topology: Topology, preset: str, config: Config = Config()) -> DataFrame:
-    """id, pe: multisection with the kernel partitioner at quality or speed settings."""
-    return multisection(graph, topology, config.but(**PRESETS[preset]))
+    """id, pe: multisection with the kernel partitioner at quality settings, which have the local search, or speed settings."""
+    return multisection(graph, topology, config.but(**PRESETS[preset], **SERIAL, local_search=SEARCH[preset]))
 
 
 def serial_integrated(graph: TaskGraph, topology: Topology, preset: str, config: Config = Config()) -> DataFrame:

@@ -3,14 +3,15 @@
 import datetime as dt
 
 import duckdb
+import numpy as np
 from pyspark.sql import functions as F
 
 from taskmap.config import Config
+from taskmap.functions import kernels as kn
 from taskmap.plans import baselines as bl
 from taskmap.plans.iterate import barrier
 from taskmap.queries import SQL
 from taskmap.sources.generators import grid
-from taskmap.sources.graphs import trivial_mapping
 from taskmap.streaming import edges as st
 from taskmap.topology import Topology
 
@@ -42,10 +43,49 @@ def test_serial_baseline_stays_serial(spark, monkeypatch):
     g = grid(spark, 8, 8)
     g = type(g)(barrier(g.vertices), barrier(g.edges))
     t, asked = Topology.parse("2:2", "1:10"), []
-    start = trivial_mapping(g.vertices, 4)
+    start = barrier(g.vertices.selectExpr("id", "cast(id * 7 % 13 % 4 as int) as pe"))
     monkeypatch.setattr(bl, "multilevel_map", lambda graph, topology, config: asked.append(config) or start)
     pes = lambda m: [r["pe"] for r in m.orderBy("id").collect()]
     # on a graph above small_edges too, the serial pass follows, and no level goes to the distributed mapper
-    got = pes(bl.serial_integrated(g, t, "strong", Config(small_edges=100)))
-    assert got == pes(bl.sequential_lp(g, start, t, Config(), 20)) != pes(start)
+    config = Config(small_edges=100, eps_num=30)
+    got = pes(bl.serial_integrated(g, t, "strong", config))
+    assert got == pes(bl.sequential_lp(g, start, t, config, 20)) != pes(start)
     assert asked[0].small_edges > g.edges.count()
+
+
+def undirected(n, pairs):
+    a, b, w = np.array(pairs).T
+    return kn.Small.of(np.arange(n), np.ones(n, int), np.concatenate((a, b)), np.concatenate((b, a)), np.concatenate((w, w)))[0]
+
+
+def test_local_search_passes_through_a_loss():
+    # 0 and 1 belong with 2 and 3, but each alone loses by going there
+    g, flat = undirected(4, [(0, 1, 5), (0, 2, 3), (1, 2, 3), (2, 3, 20)]), np.ones((2, 2)) - np.eye(2)
+    start, bound = np.array([0, 0, 1, 1]), np.array([4, 4])
+    assert kn.edge_cut(g, kn.refine(g, start, flat, bound, Config())) == 6
+    assert kn.edge_cut(g, kn.local_search(g, start, flat, bound)) == 0
+    # without room for both there is no better prefix, and all moves are taken back
+    assert (kn.local_search(g, start, flat, np.array([3, 3])) == start).all()
+
+
+def test_local_search_on_random_graphs():
+    rng = np.random.default_rng(1)
+    for _ in range(20):
+        n, k = int(rng.integers(8, 60)), int(rng.integers(2, 5))
+        pairs = {(min(a, b), max(a, b)): int(rng.integers(1, 9)) for a, b in rng.integers(0, n, (3 * n, 2)) if a != b}
+        g = undirected(n, [(a, b, w) for (a, b), w in pairs.items()])
+        dist, bound, start = np.abs(np.subtract.outer(np.arange(k), np.arange(k))), np.full(k, -(-n // k) + 1), np.arange(n) % k
+        pe = kn.local_search(g, start, dist, bound)
+        assert np.bincount(pe, minlength=k).max() <= bound[0] and kn.objective(g, pe, dist) <= kn.objective(g, start, dist)
+        assert (kn.local_search(g, pe, dist, bound) == pe).all()
+
+
+def test_strong_multisection_has_the_local_search(monkeypatch):
+    asked = []
+    monkeypatch.setattr(bl, "multisection", lambda graph, topology, config: asked.append(config))
+    bl.serial_multisection(None, Topology.parse("2:2", "1:10"), "strong", Config())
+    i = np.arange(900)
+    g = undirected(900, [(v, v + 1, 1) for v in i if v % 30 < 29] + [(v, v + 30, 1) for v in i if v < 870])
+    flat, bound = np.ones((4, 4)) - np.eye(4), np.full(4, 231)
+    pe = kn.partition(g, bound, asked[0])
+    assert asked[0].local_search == "fm" and (kn.local_search(g, pe, flat, bound) == pe).all()
