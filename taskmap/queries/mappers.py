@@ -78,15 +78,15 @@ certified("initial_restarts", T32, lambda g: ml.initial_mapping(g, T32, g.vertic
 certified("sequential_lp", T32, lambda g: bl.sequential_lp(g, trivial_mapping(g.vertices, 32), T32, CONFIG))
 
 
-def _quick(g: TaskGraph, passes: int = 1) -> DataFrame:
-    """The distributed loop from contiguous ranges, with little patience so that the check is quick."""
+def _refined(g: TaskGraph, passes: int = 1) -> DataFrame:
+    """The distributed loop from contiguous ranges, with the settings of the mappers."""
     n = g.vertices.count()
     start = trivial_mapping(g.vertices, 8, "range")
-    return refine(g, start, T8, limits(g.vertices.sparkSession, 8, n, CONFIG), CONFIG.but(patience=1, rounds=2, passes=passes))
+    return refine(g, start, T8, limits(g.vertices.sparkSession, 8, n, CONFIG), CONFIG.but(passes=passes))
 
 
-certified("refine_mapping", T8, _quick)
-certified("refine_deep", T8, lambda g: _quick(g, 2))
+certified("refine_mapping", T8, _refined)
+certified("refine_deep", T8, lambda g: _refined(g, DEEP_PASSES))
 
 
 def map_multisection_fixed_eps(spark: SparkSession, d: str) -> DataFrame:
@@ -102,7 +102,7 @@ SQL["map_multisection_fixed_eps"] = "SELECT 32 AS k, count(*) AS n, TRUE AS cove
 def heavy_edge_matching(spark: SparkSession, d: str) -> DataFrame:
     """n, involution (pairs of two), coverage_ok, weight_kept (by the contraction)."""
     g = held(src.mesh(spark, d))
-    matched, n, done = mt.heavy_edge_matching(g, None, CONFIG.but(match_rounds=4))
+    matched, n, done = mt.heavy_edge_matching(g, None, CONFIG)
     from taskmap.operators.contraction import completed
 
     pairs = matched.groupBy("coarse_id").agg(F.count("*").alias("m")).agg(F.coalesce(F.bool_and(F.col("m") == 2), F.lit(True)).alias("involution"))
@@ -116,9 +116,9 @@ SQL["heavy_edge_matching"] = "SELECT count(*) AS n, TRUE AS involution, TRUE AS
 
 
 def coarsening_levels(spark: SparkSession, d: str) -> DataFrame:
-    """level, n, m, c_total of a forced distributed coarsening by two levels."""
+    """level, n, m, c_total of a forced distributed coarsening, down to the coarsest level."""
     g = held(src.mesh(spark, d))
-    levels = ml.coarsen(g, None, 8 * 4, CONFIG.but(small_edges=0, levels=1, match_rounds=2))
+    levels = ml.coarsen(g, None, 8 * 4, CONFIG.but(small_edges=0))
     rows = [x.graph.vertices.agg(F.lit(i).alias("level"), F.lit(x.n).cast("long").alias("n"), F.lit(x.m).cast("long").alias("m"), F.sum("c").alias("c_total")) for i, x in enumerate(levels)]
     out = rows[0]
     for r in rows[1:]:
@@ -133,7 +133,7 @@ def cluster_coarsen(spark: SparkSession, d: str) -> DataFrame:
     """n, covers_all, max_weight_ok, smaller of the clustering alternative."""
     g = held(src.overlap(spark, d))
     most = 20
-    clusters = mt.cluster(g, most, rounds=2)
+    clusters = mt.cluster(g, most)
     small = contract(g, clusters)
     n = g.vertices.count()
     own = small.vertices.agg(F.sum("c").alias("c"), F.max("c").alias("top"), F.count("*").alias("m"))

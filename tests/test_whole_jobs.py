@@ -4,13 +4,14 @@ import datetime as dt
 
 import duckdb
 import numpy as np
+import pytest
 from pyspark.sql import functions as F
 
-from taskmap.config import Config
+from taskmap.config import DEEP_PASSES, Config
 from taskmap.functions import kernels as kn
 from taskmap.plans import baselines as bl
 from taskmap.plans.iterate import barrier
-from taskmap.queries import SQL
+from taskmap.queries import QUERIES, SQL, mappers
 from taskmap.sources.generators import grid
 from taskmap.streaming import edges as st
 from taskmap.topology import Topology
@@ -89,3 +90,24 @@ def test_strong_multisection_has_the_local_search(monkeypatch):
     flat, bound = np.ones((4, 4)) - np.eye(4), np.full(4, 231)
     pe = kn.partition(g, bound, asked[0])
     assert asked[0].local_search == "fm" and (kn.local_search(g, pe, flat, bound) == pe).all()
+
+
+def test_registered_loops_have_the_settings_of_the_mappers(spark, tiny, monkeypatch):
+    asked = {}
+
+    def stop(name, at):
+        def told(*args, **more):
+            asked[name] = args[at] if len(args) > at else None, more
+            raise InterruptedError
+
+        return told
+
+    monkeypatch.setattr(mappers, "refine", stop("refine", 4))
+    monkeypatch.setattr(mappers.ml, "coarsen", stop("coarsen", 3))
+    monkeypatch.setattr(mappers.mt, "heavy_edge_matching", stop("matching", 2))
+    monkeypatch.setattr(mappers.mt, "cluster", stop("cluster", 2))
+    wanted = {"refine_mapping": ("refine", Config()), "refine_deep": ("refine", Config(passes=DEEP_PASSES)), "coarsening_levels": ("coarsen", Config(small_edges=0)), "heavy_edge_matching": ("matching", Config()), "cluster_coarsen": ("cluster", None)}
+    for query, (name, config) in wanted.items():
+        with pytest.raises(InterruptedError):
+            QUERIES[query](spark, tiny)
+        assert asked[name] == (config, {})
