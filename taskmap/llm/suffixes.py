@@ -198,7 +198,7 @@ class Batch:
 def repeated_bytes(docs: DataFrame, hot_in_batch: int = HOT_IN_BATCH, hot: int = HOT, carry: bool = False) -> DataFrame:
     """doc_id, n_bytes, n_removed, spans (array of start, end in bytes, end excluded), kept (binary), kept_sha256.
 
-    With carry, row besides: a struct of all columns of docs but the text.
+    With carry, row besides: a struct of all columns of docs but the text; spans are widened to whole characters.
     """
     n, bits = counted(docs)
     rows = batched(docs, n, carry)
@@ -308,6 +308,7 @@ def repeated_bytes(docs: DataFrame, hot_in_batch: int = HOT_IN_BATCH, hot: int =
                 if len(starts):
                     breaks = np.flatnonzero(np.diff(starts) > LENGTH)
                     spans = np.column_stack((starts[np.append(0, breaks + 1)], starts[np.append(breaks, len(starts) - 1)] + LENGTH))
+                    spans = whole_characters(raw, spans) if carry else spans
                     edges = [0, *spans.ravel().tolist(), len(raw)]
                     kept = b"".join(raw[a:b] for a, b in zip(edges[::2], edges[1::2]))
                 got = (own.ids[d], len(raw), len(raw) - len(kept), spans.tolist(), kept, hashlib.sha256(kept).hexdigest())
@@ -335,20 +336,35 @@ def repeated_bytes(docs: DataFrame, hot_in_batch: int = HOT_IN_BATCH, hot: int =
 
 
 def without_repeats(docs: DataFrame) -> DataFrame:
-    """docs, all columns, each text without its repeated bytes (a character that loses a byte goes) and n_chars to match."""
-    found = repeated_bytes(docs, carry=True)
-    changed = F.col("n_removed") > 0
+    """docs, all columns, each text without its repeated bytes (a character that loses a byte goes) and n_chars to match.
+
+    A text without repeats stays as it is, null too.
+    """
+    found = repeated_bytes(docs.withColumn("_no_text", F.col("text").isNull()), carry=True)
+    text, changed = F.col("kept").cast("string"), F.col("n_removed") > 0
     columns = []
     for c in docs.columns:
         if c == "text":
-            columns.append(F.replace(F.make_valid_utf8(F.col("kept").cast("string")), F.lit("\ufffd"), F.lit("")).cast(docs.schema[c].dataType).alias(c))
+            columns.append(F.when(~F.col("row._no_text"), text).cast(docs.schema[c].dataType).alias(c))
         elif c == "n_chars":
-            columns.append(F.when(changed, F.length(F.replace(F.make_valid_utf8(F.col("kept").cast("string")), F.lit("\ufffd"), F.lit("")))).otherwise(F.col("row.n_chars")).cast(docs.schema[c].dataType).alias(c))
+            columns.append(F.when(changed, F.length(text)).otherwise(F.col("row.n_chars")).cast(docs.schema[c].dataType).alias(c))
         else:
             columns.append(F.col(f"row.`{c}`").alias(c))
     return found.select(*columns)
 
 
+def whole_characters(raw: bytes, spans: np.ndarray) -> np.ndarray:
+    """The spans, each widened to begin and end between characters of UTF-8."""
+    wide = spans.copy()
+    for at, step in ((0, -1), (1, 1)):
+        for i, x in enumerate(wide[:, at].tolist()):
+            while 0 < x < len(raw) and raw[x] & 0xC0 == 0x80:
+                x += step
+            wide[i, at] = x
+    wide[1:, 0] = np.maximum(wide[1:, 0], wide[:-1, 1])
+    return wide
+
+
 def _place(own: Batch) -> np.ndarray:
     """Where each text's windows begin in the order of its id's texts; 0 unless ids are equal."""
     sizes = np.array([len(r) for r in own.raw], np.int64)

@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 
 from taskmap.config import DEEP_PASSES, Config
 from taskmap.functions import kernels as kn
+from taskmap.llm import suffixes
 from taskmap.plans import baselines as bl
 from taskmap.plans.iterate import barrier
 from taskmap.queries import QUERIES, SQL, mappers
@@ -111,3 +112,20 @@ def test_registered_loops_have_the_settings_of_the_mappers(spark, tiny, monkeypa
         with pytest.raises(InterruptedError):
             QUERIES[query](spark, tiny)
         assert asked[name] == (config, {})
+
+
+def test_removal_leaves_other_characters(spark):
+    twice = "é" + "".join(f"{i * i}ж" for i in range(400))
+    rows = [(0, "a \ufffd b", 5), (1, None, None), (2, "\ufffdone à" + twice, 0), (3, "two â" + twice + "\ufffd", 0)]
+    got = {r["doc_id"]: (r["text"], r["n_chars"]) for r in suffixes.without_repeats(spark.createDataFrame(rows, "doc_id long, text string, n_chars long")).collect()}
+    assert got[0] == rows[0][1:] and got[1] == (None, None)
+    # of what both have, one copy goes; the marks before and behind stay, and nothing is cut within a character
+    assert got[2] == (rows[2][1], 0) or got[2][0].startswith("\ufffdone ")
+    assert got[3] == (rows[3][1], 0) or (got[3][0].endswith("\ufffd") and got[3][0].startswith("two "))
+    assert any(n == len(t) and n < 100 for t, n in (got[2], got[3]))
+
+
+def test_spans_of_whole_characters():
+    raw = "aéж€b".encode()  # a, two bytes, two bytes, three bytes, b
+    assert suffixes.whole_characters(raw, np.array([[2, 4], [6, 7]])).tolist() == [[1, 5], [5, 8]]
+    assert suffixes.whole_characters(raw, np.array([[0, 1], [8, 9]])).tolist() == [[0, 1], [8, 9]]
