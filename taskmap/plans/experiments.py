@@ -25,6 +25,7 @@ from taskmap.topology import Topology
 
 HIERARCHIES = [f"4:8:{h}" for h in range(1, 7)]
 DISTANCE = "1:10:100"
+SEEDS = 5
 
 Mapper = Callable[[TaskGraph, Topology, Config], DataFrame]
 
@@ -93,15 +94,15 @@ def comparison(spark: SparkSession, folder: str, graphs: list[str], algorithms:
     }
 
 
-def ablation(spark: SparkSession, folder: str, name: str, graphs: list[str], hierarchies: list[str] = HIERARCHIES[:3]) -> DataFrame:
-    """instance, hierarchy, ratio of the cost with the change to that without."""
+def ablation(spark: SparkSession, folder: str, name: str, graphs: list[str], hierarchies: list[str] = HIERARCHIES, seeds: int = SEEDS) -> DataFrame:
+    """instance, hierarchy, ratio of the cost with the change to that without, both as means over seeds."""
     algorithm, change = ABLATIONS[name]
-    usual = table(spark, list(runs(spark, folder, graphs, [algorithm], hierarchies)))
-    other = table(spark, list(runs(spark, folder, graphs, [algorithm], hierarchies, config=Config().but(**change)))).select("instance", "hierarchy", F.col("j").alias("other"))
+    usual = me.seed_average(table(spark, list(runs(spark, folder, graphs, [algorithm], hierarchies, seeds))))
+    other = me.seed_average(table(spark, list(runs(spark, folder, graphs, [algorithm], hierarchies, seeds, Config().but(**change))))).select("instance", "hierarchy", F.col("j").alias("other"))
     return usual.join(other, ["instance", "hierarchy"]).select("instance", "hierarchy", F.round(F.col("other") / F.col("j"), 6).alias("ratio"))
 
 
-def phases(spark: SparkSession, folder: str, graph: str = "mesh", hierarchy: str = "4:8:6", config: Config = Config(small_edges=0, patience=2, rounds=4)) -> DataFrame:
+def phases(spark: SparkSession, folder: str, graph: str = "mesh", hierarchy: str = "4:8:6", config: Config = Config(small_edges=0)) -> DataFrame:
     """Seconds and shares of the integrated mapper's phases on the distributed path."""
     built = BUILDERS[graph](spark, folder)
     g, clock = TaskGraph(barrier(built.vertices), barrier(built.edges)), Clock()
@@ -125,13 +126,16 @@ def layout(spark: SparkSession, folder: str, graph: str = "mesh", k: int = 32) -
 
 
 def report(spark: SparkSession, folder: str) -> Iterator[dict]:
-    """All experiments at a size that a workstation finishes: two graphs, three machines, one seed."""
-    graphs, machines = ["mesh", "geometric"], HIERARCHIES[:3]
+    """All experiments: every graph and machine, five seeds, and the phases of each graph on the largest machine."""
+    graphs = list(BUILDERS)
     for name, algorithms, base in (("own", OWN, "multisection_deep"), ("serial", SERIAL, "serial_multisection_strong"), ("cut_only", CUT_ONLY, "cut_only")):
-        for measure, df in comparison(spark, folder, graphs, algorithms, base, hierarchies=machines).items():
+        for measure, df in comparison(spark, folder, graphs, algorithms, base, hierarchies=HIERARCHIES, seeds=SEEDS).items():
             for r in df.collect():
                 yield {"experiment": name, "measure": measure, **r.asDict()}
     for name in ABLATIONS:
-        for r in ablation(spark, folder, name, graphs, machines).collect():
+        for r in ablation(spark, folder, name, graphs).collect():
             yield {"experiment": name, **r.asDict()}
+    for name in graphs:
+        for r in phases(spark, folder, name).collect():
+            yield {"experiment": "phases", "instance": name, **r.asDict()}
     yield {"experiment": "layout", **layout(spark, folder)}

@@ -11,6 +11,7 @@ from taskmap.config import DEEP_PASSES, Config
 from taskmap.functions import kernels as kn
 from taskmap.llm import suffixes
 from taskmap.plans import baselines as bl
+from taskmap.plans import experiments as ex
 from taskmap.plans.iterate import barrier
 from taskmap.queries import QUERIES, SQL, mappers
 from taskmap.sources.generators import grid
@@ -129,3 +130,15 @@ def test_spans_of_whole_characters():
     raw = "aéж€b".encode()  # a, two bytes, two bytes, three bytes, b
     assert suffixes.whole_characters(raw, np.array([[2, 4], [6, 7]])).tolist() == [[1, 5], [5, 8]]
     assert suffixes.whole_characters(raw, np.array([[0, 1], [8, 9]])).tolist() == [[0, 1], [8, 9]]
+
+
+def test_report_runs_all_experiments(spark, monkeypatch):
+    seen = []
+    monkeypatch.setattr(ex, "comparison", lambda s, d, graphs, algorithms, base, **more: seen.append((graphs, more)) or {})
+    monkeypatch.setattr(ex, "runs", lambda s, d, graphs, algorithms, hierarchies, seeds, config=None: seen.append((graphs, {"hierarchies": hierarchies, "seeds": seeds})) or [dict(algorithm="integrated", instance="a", hierarchy="4:8:1", seed=i, n=1, j=2 + i, edge_cut=1, max_block=1, seconds=1.0) for i in range(2)])
+    monkeypatch.setattr(ex, "phases", lambda s, d, graph: spark.createDataFrame([("refine", 1.0)], "phase string, seconds double"))
+    monkeypatch.setattr(ex, "layout", lambda s, d: {})
+    rows = list(ex.report(spark, ""))
+    assert seen and all(x == (list(ex.BUILDERS), {"hierarchies": ex.HIERARCHIES, "seeds": 5}) for x in seen)
+    assert [r["instance"] for r in rows if r["experiment"] == "phases"] == list(ex.BUILDERS)
+    assert [r["ratio"] for r in rows if "ratio" in r] == [1.0] * len(ex.ABLATIONS)
