@@ -2,22 +2,25 @@
 
 A document's set holds its distinct shingles of GRAM words. Each shingle flips one bit of a sketch, so the Hamming
 distance of two sketches is at most the size of the sets' symmetric difference. Sets fall into bands by size, and partners
-lie in the same or neighbouring bands; in a band the difference of two partners is at most D. A sketch is cut into pieces
-of 64 bits, so many that usually more than D of them are not zero. At most D of them differ between partners, so of any
-D + 1 pieces one is equal (pigeonhole); and as in prefix filters it is enough that both send the first D + 1 of their
-pieces in one global order, here those with most bits first, as these are the least common. Sets with fewer pieces that
-are not zero send all, zero ones too. Documents that share a piece are candidates, and the sets themselves decide: a pair
-links when its Jaccard similarity is at least the threshold.
+lie in the same or neighbouring bands; in a band the difference of two partners is at most D. A sketch is cut into pieces,
+so many that usually more than D of them are not zero. A piece has 2^64 bits, of which hardly any are set; it is held as
+the XOR of the hashes of its odd bits, which differs where the bits do. At most D pieces differ between partners, so of
+any D + 1 pieces one is equal (pigeonhole); and as in prefix filters it is enough that both send the first D + 1 of their
+pieces that are not zero, in one order for all. Here that order is by the number of sets that have the piece, rarest first:
+a passage that many documents share, or a set's place in a crowd that it differs from, then hardly brings anyone together.
+Sets with fewer pieces that are not zero send all, zero ones last. Documents that share a piece are candidates, and the
+sets themselves decide: a pair links when its Jaccard similarity is at least the threshold.
 
 The join returns classes of links, not pairs, and never forms all pairs of a group that shares a piece:
 
-1. Equal sets of a batch of documents count as one. Pieces go to shards, packed. A shard ties each member of a group to
-   the group's first (in large groups: of its chunk, and chunks in turn). A short sketch of each set (a bit for each
-   shingle, about) drops pairs whose Hamming distance already passes what a link may differ by. The others are verified
-   with whole sets, which meet in tasks of at most SALT sets, and the links' components are formed.
-2. Only groups that still hold several components can hide a link. In these, members outside the group's first
-   component meet all others, in blocks, by their short sketches; pairs of different components that a link may join are
-   verified as before. Pairs within a component need no check. After that no link between components is left.
+1. Equal sets count as one. All pieces of a batch of documents go to shards, packed, and shards tell how many sets have
+   each of those that meet another one; the rest have no partner. So a set's first D + 1 are known.
+2. Each group that shares a piece has a head: the member with most common pieces. Members are tied to it; a short sketch
+   of each set (two bits for each shingle, about) drops ties whose Hamming distance already passes what a link may differ
+   by. The others are verified with whole sets, which meet in tasks of at most SALT sets, and the links' components formed.
+3. Only groups that still hold several components can hide a link. In these, members outside the head's component meet
+   all others, in blocks, by their short sketches; pairs of different components that a link may join are verified as
+   before. Pairs within a component need no check. After that no link between components is left.
 
 Defined results: null texts and texts without words have no shingle, link with nothing and are their own component; with
 fewer words than GRAM the whole sequence is the one shingle; rows with equal ids are separate documents in the order of
@@ -40,11 +43,16 @@ from taskmap.llm.common import NULL_ID, U64, documents, ensure_checkpoints, mixe
 from taskmap.llm.components import components
 
 GRAM, PERCENT = 3, 90
-#: Members of a group that are tied to one first member; sets that meet in a task; members of a block.
-CHUNK, SALT, BLOCK = 1024, 256, 1024
+#: Sets that meet in a task; members of a block.
+SALT, BLOCK = 256, 1024
+#: Bits of a short sketch for each shingle, about.
+BITS_EACH = 2
 
 LOWER = bytes.maketrans(bytes(range(65, 91)), bytes(range(97, 123)))
-PAIR, MEMBER, DOCUMENT, LINK = 0, 1, 2, 3
+PIECE, DOCUMENT = 0, 1
+ABOVE, ZERO = 1, 2
+#: The place in the order of pieces that are zero.
+LAST = 1 << 20
 
 _hashes = WordHashes()
 
@@ -94,10 +102,10 @@ class Bands:
 
     def words(self, band: int) -> int:
         """Of a short sketch."""
-        return -(-int(self.edges[band + 1]) // 64)
+        return -(-int(self.edges[band + 1]) * BITS_EACH // 64)
 
     def short(self, own: np.ndarray, band: int) -> np.ndarray:
-        """A parity sketch of about a bit for each shingle, as words of 64 bits: a filter."""
+        """A parity sketch of a few bits for each shingle, as words of 64 bits: a filter."""
         n = self.words(band)
         at = ((own & U64(0xFFFFFFFF)) * U64(n)) >> U64(32)
         words = np.zeros(n, U64)
@@ -105,19 +113,28 @@ class Bands:
         return words
 
     def sketch(self, own: np.ndarray, band: int) -> np.ndarray:
-        """The parity sketch of a set, in words of 64 bits: as many as the band has pieces."""
+        """The parity sketch of a set: for each of the band's pieces the XOR of its odd bits' hashes."""
         n = self.pieces(band)
         piece = ((own >> U64(32)) * U64(n)) >> U64(32)  # ascends as the hashes do
         starts = np.searchsorted(piece, np.arange(n, dtype=U64))
         some = np.flatnonzero(np.diff(np.append(starts, len(own))))
         words = np.zeros(n, U64)
         if len(some):
-            words[some] = np.bitwise_xor.reduceat(U64(1) << (own & U64(63)), starts[some])
+            words[some] = np.bitwise_xor.reduceat(mixed(own), starts[some])
         return words
 
     def keys(self, sketch: np.ndarray, band: int) -> np.ndarray:
         return mixed(mixed(sketch) + np.arange(len(sketch), dtype=U64) * U64(0xC2B2AE3D27D4EB4F) + U64((band + 1) * 0x9E3779B97F4A7C15 & (1 << 64) - 1))
 
+    def sent(self, own: np.ndarray, band: int) -> tuple[np.ndarray, np.ndarray, int]:
+        """Keys of the pieces that a set sends for a band, which of them are zero, and how many more of them than it sends
+        count for the pigeonhole (negative: it sends more than D + 1)."""
+        sketch, need = self.sketch(own, band), self.most(band) + 1
+        keys, zero = self.keys(sketch, band), sketch == 0
+        if len(sketch) - int(zero.sum()) >= need:
+            keys, zero = keys[~zero], zero[~zero]
+        return keys, zero, need - len(keys)
+
     def linked(self, shared: int, a: int, b: int) -> bool:
         return 100 * shared >= self.percent * (a + b - shared)
 
@@ -142,29 +159,17 @@ def node_of(batch: int, row: np.ndarray | int) -> np.ndarray | int:
     return (batch << 32) + row
 
 
-FOUND = "kind int, a long, b long, c long, home array<long>, above array<long>"
-
-
-def _found(kind: int, a: np.ndarray, b: np.ndarray, c: np.ndarray, home: list | None = None, above: list | None = None) -> pa.Table:
-    n = len(a)
-    lists = [pa.array(x if x is not None else [None] * n, pa.list_(pa.int64())) for x in (home, above)]
-    longs = [pa.array(np.asarray(x, np.int64)) for x in (a, b, c)]
-    return pa.table([pa.array(np.full(n, kind, np.int32)), *longs, *lists], ["kind", "a", "b", "c", "home", "above"])
+DOCUMENTS = "doc_id long, first long, size long, digest binary, spare_home int, spare_above int, home array<long>, above array<long>"
+#: Rows of the first step: a DOCUMENT, or a PIECE (key, tag and place in the order) of a node.
+FOUND = f"kind int, node long, key long, tag int, place int, {DOCUMENTS}"
+_KINDS = [pa.int32(), pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.int64(), pa.int64(), pa.int64(), pa.binary(), pa.int32(), pa.int32(), pa.list_(pa.int64()), pa.list_(pa.int64())]
+_NAMES = [x.split()[0] for x in FOUND.split(", ")]
 
 
-def tied(starts: np.ndarray, sizes: np.ndarray, nodes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Pairs (first, member) of groups that lie one after another in nodes; large groups as trees of chunks."""
-    left, right = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
-    at = np.arange(len(nodes))
-    place = at - np.repeat(starts, sizes)
-    step = 1
-    while len(sizes) and step < sizes.max():
-        # members at multiples of step are tied to those at multiples of step * CHUNK
-        of = (place % step == 0) & (place % (step * CHUNK) != 0)
-        left.append(nodes[at[of] - place[of] % (step * CHUNK)])
-        right.append(nodes[of])
-        step *= CHUNK
-    return np.concatenate(left), np.concatenate(right)
+def _found(kind: int, n: int, **columns: np.ndarray | list) -> pa.Table:
+    """Rows of FOUND; columns that aren't given are null."""
+    own = columns | {"kind": np.full(n, kind)}
+    return pa.table([pa.array(own[c], k) if c in own else pa.nulls(n, k) for c, k in zip(_NAMES, _KINDS)], _NAMES)
 
 
 class Join:
@@ -178,88 +183,97 @@ class Join:
         ensure_checkpoints(self.spark)
 
     def first_step(self) -> DataFrame:
-        """Rows of FOUND: candidate PAIRs a, b; MEMBERs b of groups a of three or more (c: whether the group's band is above
-        the member's own); DOCUMENTs a with node b and size c, the node's own row with its short sketches."""
+        """Rows of FOUND: the documents, and the pieces that may bring one together with others."""
         gram, bands, bits = self.gram, self.bands, self.bits
 
         def send(table: pa.Table) -> pa.Table:
+            import xxhash
+
             own = Batch(table, gram)
             sets = [own.set(i) for i in range(len(own.raw))]
-            node = own.nodes(sets)
-            keys, rows, shorts = [np.zeros(0, U64)], [np.zeros(0, np.uint32)], []
-            for i in range(len(sets)):
-                if node[i] != i or not len(sets[i]):
-                    continue
+            first = own.nodes(sets)
+            keys, rows = [np.zeros(0, U64)], [np.zeros(0, np.uint32)]
+            spare: tuple[list, list] = ([], [])
+            shorts: tuple[list, list] = ([], [])
+            digests: list[bytes | None] = []
+            for i, s in enumerate(sets):
+                alone = first[i] == i and len(s) > 0
+                digests.append(xxhash.xxh3_128_digest(s.tobytes()) if alone else None)
                 for above in (0, 1):
-                    band = bands.of(len(sets[i])) + above
-                    sketch = bands.sketch(sets[i], band)
-                    some, need = bands.keys(sketch, band), bands.most(band) + 1
-                    if np.count_nonzero(sketch) >= need:
-                        some = some[np.lexsort((some, -np.bitwise_count(sketch).astype(np.int64)))[:need]]
-                    keys.append(some)
-                    rows.append(np.full(len(some), 2 * i + above, np.uint32))
-                    shorts.append(bands.short(sets[i], band))
-            sizes = np.array([len(s) for s in sets], U64)
-            del sets
-            all_keys, all_rows = np.concatenate(keys), np.concatenate(rows)
+                    band = bands.of(len(s)) + above if alone else 0
+                    some, zero, more = bands.sent(s, band) if alone else (keys[0], None, None)
+                    if alone:
+                        keys.append(some)
+                        rows.append(4 * i + ZERO * zero.astype(np.uint32) + above)
+                    spare[above].append(more)
+                    shorts[above].append(bands.short(s, band).view(np.int64) if alone else None)
+            all_keys, all_rows = np.concatenate(keys), np.concatenate(rows).astype(np.uint16 if 4 * len(sets) <= 1 << 16 else np.uint32)
             order = np.argsort(all_keys, kind="stable")
-            out = packed([all_keys[order], all_rows[order]], shard_bounds(all_keys[order], bits), own.number, ["keys", "rows"])
-            out = out.append_column("shorts", pa.nulls(len(out), pa.binary()))
+            all_keys = all_keys[order]
+            tail = ((all_keys >> U64(32 - bits)) & U64(0xFFFFFFFF)).astype(np.uint32)  # what follows the shard's bits
+            out = packed([tail, all_rows[order]], shard_bounds(all_keys, bits), own.number, ["keys", "rows"])
             # the documents themselves go to a shard of their own, numbered by the batch
-            packs = [np.concatenate((own.ids.view(U64), sizes)).tobytes(), node.astype(np.uint32).tobytes(), b"".join(s.tobytes() for s in shorts)]
-            mine = pa.table([pa.array([-1 - own.number], pa.int32()), pa.array([own.number], pa.int32()), *[pa.array([x], pa.binary()) for x in packs]], out.column_names)
-            return pa.concat_tables([out, mine])
+            n = len(sets)
+            told = _found(DOCUMENT, n, node=node_of(own.number, np.arange(n)), doc_id=own.ids, first=node_of(own.number, first), size=np.array([len(s) for s in sets], np.int64), digest=digests, spare_home=spare[0], spare_above=spare[1], home=shorts[0], above=shorts[1])
+            sink = pa.BufferOutputStream()
+            with pa.ipc.new_stream(sink, told.schema) as stream:
+                stream.write_table(told)
+            mine = [pa.array([-1 - own.number], pa.int32()), pa.array([own.number], pa.int32()), pa.array([sink.getvalue().to_pybytes()], pa.binary()), pa.array([b""], pa.binary())]
+            return pa.concat_tables([out, pa.table(mine, out.column_names)])
 
         def meet(table: pa.Table) -> pa.Table:
-            if table.column("shard")[0].as_py() < 0:
-                both, rows, words = (np.frombuffer(table.column(c)[0].as_py(), t) for c, t in (("keys", U64), ("rows", np.uint32), ("shorts", np.int64)))
-                sizes = both[len(rows) :].view(np.int64)
-                home: list = [None] * len(rows)
-                above: list = [None] * len(rows)
-                at = 0
-                for i, (row, size) in enumerate(zip(rows.tolist(), sizes.tolist())):
-                    if row == i and size:
-                        for lists, band in ((home, bands.of(size)), (above, bands.of(size) + 1)):
-                            n = bands.words(band)
-                            lists[i] = words[at : at + n]
-                            at += n
-                return _found(DOCUMENT, both[: len(rows)].view(np.int64), node_of(table.column("batch")[0].as_py(), rows.astype(np.int64)), sizes, home, above)
-            keys, sizes = unpacked(table, "keys", "u8")
-            rows = unpacked(table, "rows", "u4")[0].astype(np.int64)
-            nodes = (np.repeat(table.column("batch").to_numpy().astype(np.int64), sizes) << 32) + (rows >> 1)
-            order = np.lexsort((nodes, rows & 1, keys))  # those of the key's own band first
-            k, v, above = keys[order], nodes[order], rows[order] & 1
-            starts = np.flatnonzero(np.append(True, k[1:] != k[:-1])) if len(k) else np.zeros(0, np.int64)
+            shard = table.column("shard")[0].as_py()
+            if shard < 0:
+                return pa.concat_tables([pa.ipc.open_stream(x).read_all() for x in table.column("keys").to_pylist()])
+            keys, sizes = unpacked(table, "keys", "u4")
+            widths = [4 * len(r) // len(k) for k, r in zip(table.column("keys").to_pylist(), table.column("rows").to_pylist())]
+            rows = np.concatenate([np.frombuffer(x, f"u{w}").astype(np.uint32) for x, w in zip(table.column("rows").to_pylist(), widths)])
+            order = np.argsort(keys, kind="stable")
+            k = keys[order]
+            starts = np.flatnonzero(np.append(True, k[1:] != k[:-1]))
             counts = np.diff(np.append(starts, len(k)))
             # members that are all from the band below meet under that band's keys
-            useful = (counts > 1) & (above[starts] == 0) if len(k) else np.zeros(0, bool)
+            useful = (counts > 1) & (np.minimum.reduceat(rows[order] & ABOVE, starts) == 0)
+            place = np.ceil(np.log2(counts) * 8).astype(np.int32)
             often = np.repeat(useful, counts)
-            k, v, above, counts = k[often], v[often], above[often], counts[useful]
-            left, right = tied(np.cumsum(counts) - counts, counts, v)
-            order = np.lexsort((right, left))
-            left, right = left[order], right[order]
-            new = np.append(True, (left[1:] != left[:-1]) | (right[1:] != right[:-1]))[: len(left)]
-            several = np.repeat(counts > 2, counts)
-            none = np.zeros(int(new.sum()), np.int64)
-            return pa.concat_tables([_found(PAIR, left[new], right[new], none), _found(MEMBER, k[several].view(np.int64), v[several], above[several])])
-
-        sent = self.rows.groupBy("batch").applyInArrow(lambda t: relieved(send(t)), "shard int, batch int, keys binary, rows binary, shorts binary")
+            some = order[often]
+            tag = (rows[some] & 3).astype(np.int32)
+            node = (np.repeat(table.column("batch").to_numpy().astype(np.int64), sizes)[some] << 32) + (rows[some] >> 2)
+            return _found(PIECE, len(some), node=node, key=(shard << 32) + k[often].astype(np.int64), tag=tag, place=np.where(tag & ZERO, LAST, np.repeat(place, counts)[often]))
+
+        sent = self.rows.groupBy("batch").applyInArrow(lambda t: relieved(send(t)), "shard int, batch int, keys binary, rows binary")
         return sent.groupBy("shard").applyInArrow(lambda t: relieved(meet(t)), FOUND)
 
+    def members(self, pieces: DataFrame, nodes: DataFrame) -> DataFrame:
+        """key, node, upper (whether the key is of the band above the node's), size, common: of each node the pieces among
+        its first D + 1 that it may share; common is their number."""
+        own = pieces.select("key", "node", "place", F.col("tag").bitwiseAND(F.lit(ABOVE)).alias("upper"))
+        own = own.join(nodes.select("node", "size", "spare_home", "spare_above"), "node")
+        group = W.partitionBy("node", "upper")
+        # pieces that nobody shares come first in the order and take their places
+        left = F.when(F.col("upper") == 1, F.col("spare_above")).otherwise(F.col("spare_home")) + F.count("*").over(group)
+        own = own.withColumns({"common": left, "nth": F.row_number().over(group.orderBy("place", "key"))})
+        return own.filter(F.col("nth") <= F.col("common")).select("key", "node", "upper", "size", "common")
+
+    def ties(self, members: DataFrame) -> DataFrame:
+        """Distinct pairs a (head), b (member) of groups that share a key, where sizes allow a link."""
+        head = F.max_by(F.struct("node", "size"), F.struct("common", "node")).alias("head")
+        heads = members.groupBy("key").agg(head, F.min("upper").alias("least"), F.min("node").alias("x"), F.max("node").alias("y"))
+        both = members.join(heads.filter("least = 0 AND x <> y").select("key", "head"), "key").filter("node <> head.node")
+        small, large = F.least("size", "head.size"), F.greatest("size", "head.size")
+        return both.filter(100 * small >= self.bands.percent * large).select(F.col("head.node").alias("a"), F.col("node").alias("b")).distinct()
+
     def possible(self, pairs: DataFrame, nodes: DataFrame) -> DataFrame:
-        """Of pairs(a, b), distinct, those that sizes and short sketches allow to link; nodes(node, size, band, home, above)."""
-        narrow = lambda x: nodes.select(F.col("node").alias(x), F.col("size").alias(f"size_{x}"), F.col("band").alias(f"band_{x}"))
-        both = pairs.distinct().join(narrow("a"), "a").join(narrow("b"), "b")
-        small, large = F.least("size_a", "size_b"), F.greatest("size_a", "size_b")
-        both = both.filter((100 * small >= self.bands.percent * large) & (F.abs(F.col("band_a") - F.col("band_b")) <= 1))
+        """Of pairs(a, b), those that sizes and short sketches allow to link."""
+        narrow = lambda x: nodes.select(F.col("node").alias(x), F.col("size").alias(f"size_{x}"), F.col("home").alias(f"home_{x}"), F.col("above").alias(f"above_{x}"))
+        both = pairs.join(narrow("a"), "a").join(narrow("b"), "b")
         most = F.call_function("div", (F.col("size_a") + F.col("size_b")) * (100 - self.bands.percent), F.lit(100 + self.bands.percent))
-        both = both.select("a", "b", (F.col("band_a") < F.col("band_b")).alias("up_a"), (F.col("band_b") < F.col("band_a")).alias("up_b"), most.alias("most"))
-        # both as sketches for the larger one's band
-        for x in "ab":
-            fit = F.when(F.col(f"up_{x}"), F.col("above")).otherwise(F.col("home"))
-            both = both.join(nodes.select(F.col("node").alias(x), "home", "above"), x).withColumn(f"short_{x}", fit).drop("home", "above", f"up_{x}")
-        flips = F.zip_with("short_a", "short_b", lambda x, y: F.bit_count(x.bitwiseXOR(y)))
-        return both.filter(F.aggregate(flips, F.lit(0), lambda s, x: s + x) <= F.col("most")).select("a", "b")
+        # both as sketches for the larger one's band: its words tell which that is
+        words = {x: F.size(f"home_{x}") for x in "ab"}
+        short = {x: F.when(words[x] < words[y], F.col(f"above_{x}")).otherwise(F.col(f"home_{x}")) for x, y in ("ab", "ba")}
+        flips = F.zip_with(short["a"], short["b"], lambda x, y: F.bit_count(x.bitwiseXOR(y)))
+        near = F.aggregate(flips, F.lit(0), lambda s, x: s + x) <= most
+        return both.filter((F.size(short["a"]) == F.size(short["b"])) & near).select("a", "b")
 
     def verified(self, pairs: DataFrame) -> DataFrame:
         """Of pairs(a, b), those whose sets are similar enough. Sets of b meet that of a in tasks of about SALT."""
@@ -292,24 +306,24 @@ class Join:
                     at[at == len(first)] = 0
                     if bands.linked(int((first[at] == own).sum()), len(first), len(own)):
                         good.append(node)
-            return _found(LINK, np.full(len(good), a), np.array(good, np.int64), np.zeros(len(good), np.int64))
+            return pa.table([pa.array([a] * len(good), pa.int64()), pa.array(good, pa.int64())], ["a", "b"])
 
         sent = self.rows.groupBy("batch").cogroup(asked.groupBy("batch")).applyInArrow(lambda t, u: relieved(send(t, u)), "a long, salt int, node long, set binary")
-        return sent.groupBy("a", "salt").applyInArrow(check, FOUND)
+        return sent.groupBy("a", "salt").applyInArrow(check, "a long, b long")
 
     def hidden(self, members: DataFrame, nodes: DataFrame, labels: DataFrame) -> DataFrame:
         """Pairs of different components that their short sketches allow to link, from groups of several components."""
         bands = self.bands
-        own = members.select(F.col("a").alias("key"), F.col("b").alias("node"), F.col("c").alias("upper"))
-        own = own.join(labels, "node", "left").withColumn("component", F.coalesce("component", "node"))
-        group = W.partitionBy("key")
-        own = own.withColumns({"major": F.min("component").over(group), "other": F.max("component").over(group), "m": F.count("*").over(group)})
-        told = own.filter("major <> other").withColumn("blocks", F.ceil(F.col("m") / BLOCK).cast("int"))
+        own = members.join(labels, "node", "left").withColumn("component", F.coalesce("component", "node"))
+        major = F.max_by("component", F.struct("common", "node")).alias("major")
+        groups = own.groupBy("key").agg(major, F.min("component").alias("x"), F.max("component").alias("y"), F.count("*").alias("m"), F.min("upper").alias("least"))
+        groups = groups.filter("x <> y AND least = 0").select("key", "major", F.ceil(F.col("m") / BLOCK).cast("int").alias("blocks"))
+        told = own.join(groups, "key")
         minor = F.col("component") != F.col("major")
         home = F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int")
-        told = told.select("key", "node", "upper", "component", minor.alias("minor"), F.explode(F.when(minor, F.sequence(F.lit(0), F.col("blocks") - 1)).otherwise(F.array(home))).alias("block"))
+        told = told.select("key", "node", "upper", "component", minor.alias("minor"), home.alias("home_block"), F.explode(F.when(minor, F.sequence(F.lit(0), F.col("blocks") - 1)).otherwise(F.array(home))).alias("block"))
         short = F.when(F.col("upper") == 1, F.col("above")).otherwise(F.col("home"))
-        told = told.join(nodes, "node").select("key", "block", "node", "component", "minor", "size", short.alias("short"))
+        told = told.join(nodes, "node").select("key", "block", "node", "component", "upper", "minor", (F.col("block") == F.col("home_block")).alias("at_home"), "size", short.alias("short"))
 
         def compare(table: pa.Table) -> pa.Table:
             """Many groups at once: rows lie group by group, and pairs at each distance within a group are compared together."""
@@ -317,8 +331,8 @@ class Join:
             lists = table.column("short").combine_chunks()
             words, lengths = lists.flatten().to_numpy().view(U64), np.diff(lists.offsets.to_numpy())
             starts = np.cumsum(lengths) - lengths
-            minor = table.column("minor").to_numpy(zero_copy_only=False)
-            key, block, size, component, node = (table.column(c).to_numpy() for c in ("key", "block", "size", "component", "node"))
+            minor, at_home = (table.column(c).to_numpy(zero_copy_only=False) for c in ("minor", "at_home"))
+            key, block, size, component, node, upper = (table.column(c).to_numpy() for c in ("key", "block", "size", "component", "node", "upper"))
             left, right = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
             at = np.arange(len(key))
             step = 0
@@ -328,42 +342,48 @@ class Join:
                 at = at[(key[at] == key[at + step]) & (block[at] == block[at + step])]
                 i, j = at, at + step
                 small, large = np.minimum(size[i], size[j]), np.maximum(size[i], size[j])
-                near = (component[i] != component[j]) & (minor[i] | minor[j]) & (100 * small >= bands.percent * large)
+                near = (component[i] != component[j]) & (minor[i] | minor[j]) & (at_home[i] | at_home[j]) & (upper[i] + upper[j] < 2) & (100 * small >= bands.percent * large)
                 i, j = i[near], j[near]
                 most = (size[i] + size[j]) * (100 - bands.percent) // (100 + bands.percent)
-                for n in np.unique(lengths[i]):  # a group's sketches have one length
-                    some = lengths[i] == n
+                for n in np.unique(lengths[i]):
+                    some = (lengths[i] == n) & (lengths[j] == n)  # a group's sketches have one length, unless its key is of two bands by chance
                     span = np.arange(n)
                     apart = np.bitwise_count(words[starts[i[some]][:, None] + span] ^ words[starts[j[some]][:, None] + span]).sum(1, dtype=np.int64)
                     good = apart <= most[some]
                     left.append(np.minimum(node[i[some][good]], node[j[some][good]]))
                     right.append(np.maximum(node[i[some][good]], node[j[some][good]]))
             a, b = np.concatenate(left), np.concatenate(right)
-            return _found(PAIR, a, b, np.zeros(len(a), np.int64))
+            order = np.lexsort((b, a))
+            a, b = a[order], b[order]
+            new = np.append(True, (a[1:] != a[:-1]) | (b[1:] != b[:-1]))[: len(a)]
+            return pa.table([pa.array(a[new]), pa.array(b[new])], ["a", "b"])
 
         # whole groups meet in buckets, as most are tiny
         bucket = F.pmod(F.xxhash64("key", "block"), F.lit(16 * self.n)).cast("int")
-        found = told.withColumn("bucket", bucket).groupBy("bucket").applyInArrow(lambda t: relieved(compare(t)), FOUND)
-        return found.select("a", "b").distinct()
+        found = told.withColumn("bucket", bucket).groupBy("bucket").applyInArrow(lambda t: relieved(compare(t)), "a long, b long")
+        return found.distinct()
 
     def similar(self) -> DataFrame:
         """doc_id, n_shingles, component_id (an id), component (a number, also where ids are equal or null)."""
         first = stored(self.first_step())
         documents = first.filter(F.col("kind") == DOCUMENT)
-        edges = self.bands.edges.tolist()
-        band = F.size(F.filter(F.array(*[F.lit(e) for e in edges if e < 1 << 31]), lambda e: e <= F.col("size"))) - 1
-        nodes = documents.filter("home is not null").select(F.col("b").alias("node"), F.col("c").alias("size"), "home", "above").withColumn("band", band)
-        pairs = self.possible(first.filter(F.col("kind") == PAIR).select("a", "b"), nodes)
-        pairs = stored(pairs)
-        links = stored(self.verified(pairs).select("a", "b"))
-        labels = stored(components(links))
-        rest = self.hidden(first.filter(F.col("kind") == MEMBER), nodes, labels)
-        rest = stored(rest.join(pairs, ["a", "b"], "left_anti"))
+        # equal sets of all batches count as one, the least node
+        sets = documents.filter("digest is not null").groupBy("digest").agg(F.min("node").alias("of"))
+        known = documents.filter("digest is not null").join(sets, "digest")
+        nodes = stored(known.filter("node = of").select("node", "size", "spare_home", "spare_above", "home", "above"))
+        members = stored(self.members(first.filter(F.col("kind") == PIECE), nodes))
+        ties = stored(self.possible(self.ties(members), nodes))
+        links = stored(self.verified(ties))
+        labels = components(links)
+        rest = self.hidden(members, nodes, labels)
+        tied = ties.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
+        rest = stored(rest.join(tied, ["a", "b"], "left_anti"))
         if rest.limit(1).count():
-            more = stored(self.verified(rest).select("a", "b"))
+            more = stored(self.verified(rest))
             if more.limit(1).count():
                 labels = components(links.unionByName(more))
-        rows = documents.select(F.col("a").alias("doc_id"), F.col("b").alias("node"), F.col("c").alias("n_shingles"))
+        rows = documents.select("doc_id", "first", F.col("size").alias("n_shingles"))
+        rows = rows.join(known.select(F.col("node").alias("first"), "of"), "first", "left").withColumn("node", F.coalesce("of", "first"))
         rows = rows.join(labels, "node", "left").withColumn("component", F.coalesce("component", "node"))
         least = rows.groupBy("component").agg(F.min("doc_id").alias("component_id"))
         null = lambda name: F.when(F.col(name) != NULL_ID, F.col(name)).alias(name)

@@ -371,8 +371,32 @@ def test_parity_bound():
         own = np.unique(rng.integers(0, 1 << 63, 200).astype(np.uint64))
         other = np.unique(np.concatenate((own[: 200 - rng.integers(0, 60)], rng.integers(0, 1 << 63, rng.integers(0, 60)).astype(np.uint64))))
         apart = len(np.setxor1d(own, other))
-        for make_one in (bands.sketch, bands.short):
-            assert np.bitwise_count(make_one(own, 20) ^ make_one(other, 20)).sum() <= apart
+        assert np.bitwise_count(bands.short(own, 20) ^ bands.short(other, 20)).sum() <= apart
+        assert (bands.sketch(own, 20) != bands.sketch(other, 20)).sum() <= apart
+
+
+@pytest.mark.parametrize("gram, percent, edits", [(3, 90, 8), (5, 80, 7)])
+def test_parity_join_in_a_crowd(make, gram, percent, edits):
+    """Copies about the threshold away from a common text and from each other, passages that many share, links by way of others."""
+    rng = np.random.default_rng(4)
+    word = lambda: f"w{rng.integers(0, 10**7)}"
+    base, passage = [word() for _ in range(160)], [word() for _ in range(40)]
+    rows = []
+    for _ in range(120):
+        w = list(base)
+        for at in rng.integers(0, len(w), rng.integers(0, edits + 1)):
+            w[at] = word()
+        rows.append(w)
+    for _ in range(60):
+        rows.append([word() for _ in range(rng.integers(20, 60))] + passage + [word() for _ in range(rng.integers(0, 60))])
+    chain = [word() for _ in range(150)]
+    for i in range(12):
+        chain = chain[: 12 * i] + [word() for _ in range(2)] + chain[12 * i + 2 :]
+        rows.append(chain)
+    order = rng.permutation(len(rows))
+    df = make([(int(i), " ".join(rows[n])) for n, i in enumerate(order)] + [(1000 + i, " ".join(rows[i])) for i in range(5)])
+    got = collected(parity.similar(df, gram, percent), "doc_id", "n_shingles", "component_id")
+    assert got == classes(sorted(texts_of(df)), gram, percent)
 
 
 def test_one_of_each(odd):
