@@ -414,4 +414,23 @@ def op10_parity_join(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {"op10_parity_join": op10_parity_join}
-SQL: dict[str, str] = {}
+SQL: dict[str, str] = {
+    "op10_parity_join": rf"""
+WITH RECURSIVE split AS (
+    SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS words FROM documents),
+shingle AS (
+    SELECT DISTINCT doc_id, array_to_string(words[start : start + {GRAM - 1}], ' ') AS s
+    FROM (SELECT doc_id, words, unnest(generate_series(1, greatest(1, len(words) - {GRAM - 1}))) AS start FROM split WHERE len(words) > 0)),
+sizes AS (
+    SELECT doc_id, count(*) AS n FROM shingle GROUP BY doc_id),
+link AS (
+    SELECT x.doc_id AS a, y.doc_id AS b FROM shingle x JOIN shingle y ON x.s = y.s AND x.doc_id <> y.doc_id
+    JOIN sizes m ON m.doc_id = x.doc_id JOIN sizes n ON n.doc_id = y.doc_id
+    GROUP BY ALL HAVING 100 * count(*) >= {PERCENT} * (any_value(m.n) + any_value(n.n) - count(*))),
+reach AS (
+    SELECT doc_id, doc_id AS other FROM documents
+    UNION
+    SELECT r.doc_id, l.b FROM reach r JOIN link l ON l.a = r.other)
+SELECT r.doc_id, coalesce(any_value(n.n), 0)::BIGINT AS n_shingles, min(r.other) AS component_id
+FROM reach r LEFT JOIN sizes n ON n.doc_id = r.doc_id GROUP BY r.doc_id""",
+}

@@ -22,7 +22,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from taskmap.llm.common import U64, documents, sliced, table, text_bytes, texts
-from taskmap.llm.learning import fold, labelled_sample, sigmoid
+from taskmap.llm.learning import fitted, fold, labelled_sample, sigmoid
 
 #: Labelled rows learnt from at most: label 0, label 1.
 SAMPLE = (6000, 6000)
@@ -100,7 +100,7 @@ def fit(sample: list[tuple[int, str]], passes: int = 3) -> QualityModel:
     seen = []
     for y, text in sample:
         at, count = np.unique(hasher.slots(text.encode()), return_counts=True)
-        seen.append((np.append(at, bias), np.append(SCALE * count / max(1, count.sum()), 1.0), float(y)))
+        seen.append((np.append(at, bias).astype(np.int32), np.append(SCALE * count / max(1, count.sum()), 1.0).astype(np.float32), float(y)))
     for _ in range(passes):
         for at, x, y in seen:
             learner.learn(at, x, y)
@@ -137,7 +137,7 @@ def keep_good(docs: DataFrame, model: QualityModel) -> DataFrame:
 
 def trained(spark: SparkSession, docs: DataFrame, sf_dir: str) -> QualityModel:
     labels = table(spark, sf_dir, "labels")
-    return fit(labelled_sample(docs, labels, "quality", fold(F.col("doc_id"), 5) != 0, SAMPLE))
+    return fitted(labelled_sample(docs, labels, "quality", fold(F.col("doc_id"), 5) != 0, SAMPLE), fit)
 
 
 def op5_quality(spark: SparkSession, sf_dir: str) -> DataFrame:

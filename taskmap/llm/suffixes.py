@@ -378,4 +378,28 @@ def op7_suffixes(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {"op7_suffixes": op7_suffixes}
-SQL: dict[str, str] = {}
+SQL: dict[str, str] = {
+    "op7_suffixes": f"""
+WITH bytes AS (
+    SELECT doc_id, hex(encode(coalesce(text, ''))) AS h FROM documents),
+blocks AS (  -- overlapping, as cutting from a long string costs its length
+    SELECT doc_id, 1000 * b AS base, substr(h, 2000 * b + 1, 2000 + {2 * LENGTH - 2}) AS h
+    FROM (SELECT doc_id, h, unnest(generate_series(0, len(h) // 2000)) AS b FROM bytes)),
+starts AS (
+    SELECT doc_id, base, h, unnest(generate_series(0, len(h) // 2 - {LENGTH})) AS i FROM blocks),
+found AS (
+    SELECT doc_id, base + i AS start, row_number() OVER (PARTITION BY substr(h, 2 * i + 1, {2 * LENGTH}) ORDER BY doc_id, base + i) > 1 AS repeated FROM starts),
+breaks AS (
+    SELECT doc_id, start, coalesce(start - lag(start) OVER (PARTITION BY doc_id ORDER BY start) > {LENGTH}, true) AS fresh FROM found WHERE repeated),
+numbered AS (
+    SELECT doc_id, start, sum(fresh::INT) OVER (PARTITION BY doc_id ORDER BY start) AS span FROM breaks),
+spans AS (
+    SELECT doc_id, min(start) AS first, max(start) + {LENGTH} AS behind FROM numbered GROUP BY doc_id, span),
+pieces AS (
+    SELECT doc_id, coalesce(lag(behind) OVER (PARTITION BY doc_id ORDER BY first), 0) AS first, first AS behind, behind - first AS gone FROM spans
+    UNION ALL
+    SELECT b.doc_id, coalesce(max(s.behind), 0), len(any_value(b.h)) // 2, NULL FROM bytes b LEFT JOIN spans s USING (doc_id) GROUP BY b.doc_id)
+SELECT doc_id, (len(any_value(h)) // 2)::BIGINT AS n_bytes, coalesce(sum(gone), 0)::BIGINT AS n_removed, count(gone)::BIGINT AS n_spans,
+       sha256(unhex(string_agg(substr(h, 2 * first + 1, 2 * (behind - first)), '' ORDER BY first))) AS kept_sha256
+FROM pieces JOIN bytes USING (doc_id) GROUP BY doc_id""",
+}

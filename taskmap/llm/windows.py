@@ -157,4 +157,21 @@ def op9_substrings(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {"op9_substrings": op9_substrings}
-SQL: dict[str, str] = {}
+SQL: dict[str, str] = {
+    "op9_substrings": rf"""
+WITH split AS (
+    SELECT doc_id, coalesce(regexp_extract_all(text, '[^\x20\x09-\x0D]+'), []) AS words FROM documents),
+starts AS (
+    SELECT doc_id, words, unnest(generate_series(1, len(words) - {LENGTH - 1})) AS start FROM split),
+found AS (
+    SELECT doc_id, start, doc_id > min(doc_id) OVER (PARTITION BY array_to_string(words[start : start + {LENGTH - 1}], ' ')) AS repeated FROM starts),
+gone AS (
+    SELECT DISTINCT doc_id, unnest(generate_series(start, start + {LENGTH - 1})) AS place FROM found WHERE repeated),
+word AS (
+    SELECT doc_id, unnest(words) AS w, generate_subscripts(words, 1) AS place FROM split),
+kept AS (
+    SELECT doc_id, count(g.place) AS n_removed, string_agg(w, ' ' ORDER BY place) FILTER (WHERE g.place IS NULL) AS rest
+    FROM word LEFT JOIN gone g USING (doc_id, place) GROUP BY doc_id)
+SELECT doc_id, len(words)::BIGINT AS n_words, coalesce(n_removed, 0)::BIGINT AS n_removed, sha256(coalesce(rest, '')) AS kept_sha256
+FROM split LEFT JOIN kept USING (doc_id)""",
+}
