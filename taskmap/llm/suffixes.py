@@ -50,45 +50,109 @@ PIECE = 1 << 17
 ONLY, REPEATED, SEVERAL, SINGLY = 0, 1, 2, 3
 
 
+class SuffixArray:
+    """Bytes, and where the suffixes in them begin that count, in lexicographic order by their first `length` bytes.
+
+    Suffixes are compared in words of eight bytes, the last of which overlaps the one before; no suffix is copied.
+    """
+
+    def __init__(self, data: np.ndarray, starts: np.ndarray, length: int, lead: np.ndarray | None = None):
+        self.data, self.starts = data, starts
+        self.offsets = [*range(0, length - 7, 8), *([length - 8] if length % 8 else [])]
+        padded = np.concatenate((data, np.zeros(8, np.uint8)))
+        self.words = np.ndarray((len(data) + 1,), ">u8", padded, strides=(1,))  # the word at each byte
+        self.lead = self.word(starts, 0) if lead is None else lead
+
+    def __len__(self) -> int:
+        return len(self.starts)
+
+    def word(self, starts: np.ndarray, k: int) -> np.ndarray:
+        return self.words[starts + self.offsets[k]].astype(U64)
+
+    def order(self) -> tuple[np.ndarray, np.ndarray]:
+        """The lexicographic order of the starts, equal suffixes as they stand, and which suffix differs from the one before:
+        word by word, each time only where suffixes are still equal."""
+        order = np.argsort(self.lead, kind="stable")
+        lead = self.lead[order]
+        new = np.append(True, lead[1:] != lead[:-1])[: len(order)]
+        for k in range(1, len(self.offsets)):
+            group = np.cumsum(new) - 1
+            tied = np.flatnonzero(np.bincount(group)[group] > 1) if len(group) else group
+            if not len(tied):
+                break
+            some, g = order[tied], group[tied]
+            word = self.word(self.starts[some], k)
+            by = np.lexsort((word, g))
+            order[tied], word = some[by], word[by]
+            new[tied] = np.append(True, (g[1:] != g[:-1]) | (word[1:] != word[:-1]))
+        return order, new
+
+    def only(self, which: np.ndarray) -> SuffixArray:
+        return SuffixArray(self.data, self.starts[which], self.offsets[-1] + 8, self.lead[which])
+
+    def _bound(self, low: np.ndarray, high: np.ndarray, k: int, word: np.ndarray, right: bool) -> np.ndarray:
+        """Where words would be inserted in ranges of the array that agree up to word k."""
+        low, high = low.copy(), high.copy()
+        at = np.flatnonzero(low < high)
+        while len(at):
+            middle = (low[at] + high[at]) // 2
+            own = self.word(self.starts[middle], k)
+            before = own <= word[at] if right else own < word[at]
+            low[at[before]] = middle[before] + 1
+            high[at[~before]] = middle[~before]
+            at = at[low[at] < high[at]]
+        return low
+
+    def scan(self, other: SuffixArray) -> tuple[np.ndarray, np.ndarray]:
+        """Of each suffix of another array: its place here, and whether it stands here, by the common prefix's words."""
+        low, high = (np.searchsorted(self.lead, other.lead, side) for side in ("left", "right"))
+        for k in range(1, len(self.offsets)):
+            at = np.flatnonzero(low < high)
+            if not len(at):
+                break
+            word, l, h = other.word(other.starts[at], k), low[at], high[at]
+            low[at], high[at] = self._bound(l, h, k, word, False), self._bound(l, h, k, word, True)
+        return low, low < high
+
+    def merged(self, newer: SuffixArray) -> SuffixArray:
+        """Both in one array; no suffix stands in both."""
+        place, _ = self.scan(newer)
+        starts = np.insert(self.starts, place, newer.starts + len(self.data))
+        return SuffixArray(np.concatenate((self.data, newer.data)), starts, self.offsets[-1] + 8, np.insert(self.lead, place, newer.lead))
+
+
 class SuffixFamily:
-    """The levels, each an ascending array of different suffixes, cut to the length that matters."""
+    """The levels, each a suffix array of different suffixes, as far as the length that matters."""
 
     def __init__(self, length: int = LENGTH):
         self.length, self.levels = length, []
 
-    def suffixes(self, texts: list[bytes]) -> np.ndarray:
-        """All suffixes of at least the length, text by text, cut to it."""
+    def suffixes(self, texts: list[bytes]) -> SuffixArray:
+        """All suffixes of at least the length, text by text."""
         whole = np.frombuffer(b"".join(texts), np.uint8)
         sizes = np.array([len(t) for t in texts], np.int64)
         begins = np.cumsum(sizes) - sizes
         counts = np.maximum(sizes - self.length + 1, 0)
         starts = np.repeat(begins - (np.cumsum(counts) - counts), counts) + np.arange(counts.sum())
-        if not len(starts):
-            return np.zeros(0, f"S{self.length}")
-        views = np.lib.stride_tricks.sliding_window_view(whole, self.length)
-        return np.ascontiguousarray(views[starts]).view(f"S{self.length}").ravel()
+        return SuffixArray(whole, starts.astype(np.int64), self.length)
 
     def add(self, texts: list[bytes]) -> np.ndarray:
         """Adds texts, which follow all earlier ones; True for each suffix whose first bytes began before."""
         own = self.suffixes(texts)
         if not len(own):
             return np.zeros(0, bool)
-        array = np.argsort(own, kind="stable")  # the batch's suffix array; equal ones stay in the order of the texts
-        ordered = own[array]
-        fresh = np.append(True, ordered[1:] != ordered[:-1])
-        distinct = ordered[fresh]
+        order, fresh = own.order()
+        distinct = own.only(order[fresh])
         known = np.zeros(len(distinct), bool)
         for level in self.levels:
-            at = np.searchsorted(level, distinct)
-            at[at == len(level)] = 0
-            known |= level[at] == distinct
+            known |= level.scan(distinct)[1]
         repeated = np.zeros(len(own), bool)
-        repeated[array] = ~fresh | known[np.cumsum(fresh) - 1]
+        repeated[order] = ~fresh | known[np.cumsum(fresh) - 1]
         if not known.all():
-            self.levels.append(distinct[~known])
+            self.levels.append(distinct.only(~known))
         while len(self.levels) > 1 and len(self.levels[-2]) < 2 * len(self.levels[-1]):
             newer, older = self.levels.pop(), self.levels.pop()
-            self.levels.append(np.sort(np.concatenate((older, newer)), kind="stable"))  # two runs: a merge
+            self.levels.append(older.merged(newer))
         return repeated
 
 
