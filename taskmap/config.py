@@ -22,6 +22,9 @@ class Config:
     least_shrink: float = 0.05  # ours: a level that shrinks less ends the coarsening
     rating: str = "squared_over_product"
     levels: int = 40  # ours
+    coarsening: str = "matching"  # "cluster": clusters in place of pairs, for graphs without structure
+    cluster_rounds: int = 6  # ours
+    cluster_share: int = 4  # ours: a cluster weighs at most this part of a block's bound, one over it
     # refinement
     patience: int = 12
     phi: float = 0.999

@@ -7,6 +7,7 @@ here (Config.small_edges). Semantics follow the relational operators: integer we
 from __future__ import annotations
 
 import heapq
+import time
 from dataclasses import dataclass
 
 import numpy as np
@@ -127,6 +128,32 @@ def matching(g: Small, bound: int, config: Config) -> np.ndarray:
     return np.unique(label, return_inverse=True)[1]
 
 
+def clustering(g: Small, most: int, config: Config) -> np.ndarray:
+    """Coarse numbers by label propagation on volume: half of the vertices in a round choose, clusters admit by volume."""
+    n = g.n
+    label = np.arange(n)
+    for r in range(config.cluster_rounds):
+        full = np.bincount(label, weights=g.c, minlength=n).astype(np.int64)
+        turn = edge_noise_array(np.arange(n), np.arange(n), config.seed + r) % 2 == 0
+        e = np.flatnonzero(turn[g.src])
+        pair, inverse = np.unique(g.src[e] * n + label[g.dst[e]], return_inverse=True)
+        volume = np.bincount(inverse, weights=g.w[e], minlength=len(pair))
+        v, to = pair // n, pair % n
+        room = (to == label[v]) | (full[to] + g.c[v] <= most)
+        v, to, volume = v[room], to[room], volume[room]
+        best = _best_by(v, (volume, -to))
+        v, to, volume = v[best], to[best], volume[best]
+        moving = to != label[v]
+        v, to, volume = v[moving], to[moving], volume[moving]
+        upto = _running((-volume, v), to, g.c[v]) + g.c[v]
+        admitted = full[to] + upto <= most
+        label = label.copy()
+        label[v[admitted]] = to[admitted]
+    least = np.full(n, n)
+    np.minimum.at(least, label, np.arange(n))
+    return np.unique(least[label], return_inverse=True)[1]
+
+
 def connectivity(g: Small, pe: np.ndarray, k: int) -> np.ndarray:
     """n x k volumes from vertices into blocks."""
     return np.bincount(g.src * k + pe[g.dst], weights=g.w, minlength=g.n * k).reshape(g.n, k)
@@ -487,26 +514,41 @@ def bisection(g: Small, bound: np.ndarray, config: Config) -> np.ndarray:
     return pe
 
 
-def multilevel(g: Small, dist: np.ndarray, bound: np.ndarray, config: Config, initial) -> np.ndarray:
-    """Coarsen, map the coarsest graph, and refine on the way back."""
+def multilevel(g: Small, dist: np.ndarray, bound: np.ndarray, config: Config, initial, spent: dict[str, float] | None = None) -> np.ndarray:
+    """Coarsen, map the coarsest graph, and refine on the way back. spent gets the CPU seconds of each phase."""
+    spent = {} if spent is None else spent
+
+    def timed(phase: str, run, *args):
+        began = time.process_time()
+        got = run(*args)
+        spent[phase] = spent.get(phase, 0.0) + time.process_time() - began
+        return got
+
     levels = []
     now = g
     while now.n >= config.coarsest_factor * len(bound) and len(levels) < config.levels:
-        coarse = matching(now, int(bound.max()), config)
-        small = now.contract(coarse)
-        if small.n > (1 - config.least_shrink) * now.n:
+        for method in dict.fromkeys((config.coarsening, "cluster")):
+            if method == "matching":
+                coarse = timed("coarsen", matching, now, int(bound.max()), config)
+            else:
+                coarse = timed("coarsen", clustering, now, max(2, int(bound.max()) // config.cluster_share), config)
+            small = timed("contract", now.contract, coarse)
+            if shrunk := small.n <= (1 - config.least_shrink) * now.n:
+                break
+        if not shrunk:
             break
         levels.append((now, coarse))
         now = small
     starts = []
     for r in range(max(1, config.restarts)):
-        pe = initial(now, config.but(seed=config.seed + r))
-        pe = improve(now, pe, dist, bound, config)
+        pe = timed("initial", initial, now, config.but(seed=config.seed + r))
+        pe = timed("refine", improve, now, pe, dist, bound, config)
         load = np.bincount(pe, weights=now.c, minlength=len(bound))
         starts.append((max(0, int((load - bound).max())), objective(now, pe, dist), r, pe))
     pe = min(starts, key=lambda x: x[:3])[3]
     for fine, coarse in reversed(levels):
-        pe = improve(fine, pe[coarse], dist, bound, config)
+        pe = timed("uncontract", pe.__getitem__, coarse)
+        pe = timed("refine", improve, fine, pe, dist, bound, config)
     return pe
 
 
@@ -553,12 +595,12 @@ def multisection(g: Small, topology: Topology, config: Config, total: int | None
     return pe
 
 
-def integrated(g: Small, topology: Topology, config: Config, total: int | None = None) -> np.ndarray:
+def integrated(g: Small, topology: Topology, config: Config, total: int | None = None, spent: dict[str, float] | None = None) -> np.ndarray:
     """The multilevel mapper on the communication cost, with multisection for the coarsest graph."""
     total = int(g.c.sum()) if total is None else total
     bound = np.full(topology.k, load_bound(total, topology.k, config.eps_num, config.eps_den))
     start = lambda small, c: multisection(small, topology, c.but(passes=1), total)
-    return multilevel(g, topology.dense(), bound, config, start)
+    return multilevel(g, topology.dense(), bound, config, start, spent)
 
 
 def sequential_lp(g: Small, pe: np.ndarray, dist: np.ndarray, bound: np.ndarray, config: Config, rounds: int = 10) -> np.ndarray:

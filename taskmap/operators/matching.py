@@ -15,9 +15,6 @@ from taskmap.graph import TaskGraph, degrees
 from taskmap.operators.noise import NOISE_FACTORS, NOISE_MODULUS
 from taskmap.plans.iterate import barrier
 
-#: Neighbour lists are compared entry by entry up to this degree; above it by their fingerprints.
-VERIFY_DEGREE = 64
-
 
 def edge_noise(a: Column, b: Column, seed: int = 0) -> Column:
     """A number below the modulus for an undirected edge, the same from both ends; no overflow in 64 bits."""
@@ -74,20 +71,25 @@ def match_leaves(graph: TaskGraph, matched: DataFrame) -> DataFrame:
 def neighbourhoods(graph: TaskGraph, only: DataFrame) -> DataFrame:
     """id, deg, print: an order-free fingerprint of the set of neighbours of the vertices in only.
 
-    Two sums of scrambled ids, and for low degrees the sorted list itself, which makes the comparison exact.
+    The degree and four sums of differently scrambled ids, 128 bits each: no list is collected, whatever the degree.
     """
     own = graph.edges.join(only.select(F.col("id").alias("src")), "src", "left_semi")
-    h = lambda salt: F.sum(F.xxhash64("dst", F.lit(salt)).cast("decimal(38,0)"))
-    prints = own.groupBy(F.col("src").alias("id")).agg(F.count("*").alias("deg"), h(1).alias("h1"), h(2).alias("h2"))
-    low = prints.filter(F.col("deg") <= VERIFY_DEGREE).select("id")
-    lists = own.join(low.withColumnRenamed("id", "src"), "src", "left_semi").groupBy(F.col("src").alias("id")).agg(F.array_sort(F.collect_list("dst")).alias("nb"))
-    return prints.join(lists, "id", "left").select("id", "deg", F.struct("deg", "h1", "h2", F.coalesce(F.col("nb").cast("string"), F.lit(""))).alias("print"))
+    h = lambda salt: F.sum(F.xxhash64("dst", F.lit(salt)).cast("decimal(38,0)")).alias(f"h{salt}")
+    prints = own.groupBy(F.col("src").alias("id")).agg(F.count("*").alias("deg"), *[h(x) for x in (1, 2, 3, 4)])
+    return prints.select("id", "deg", F.struct("deg", "h1", "h2", "h3", "h4").alias("print"))
+
+
+def verified_twins(graph: TaskGraph, pairs: DataFrame) -> DataFrame:
+    """Of pairs (id, coarse_id), two rows each, those whose neighbours are the same, edge by edge."""
+    near = graph.edges.join(pairs.withColumnRenamed("id", "src"), "src").groupBy("coarse_id", "dst").agg(F.count("*").alias("n"))
+    odd = near.filter("n <> 2").select("coarse_id").distinct()
+    return pairs.join(odd, "coarse_id", "left_anti").select("id", "coarse_id")
 
 
 def match_twins(graph: TaskGraph, matched: DataFrame) -> DataFrame:
     """Unmatched vertices with the same neighbours, two by two."""
     left = unmatched(graph.vertices, matched)
-    return paired(neighbourhoods(graph, left).select("id", "print"), "print")
+    return verified_twins(graph, paired(neighbourhoods(graph, left).select("id", "print"), "print"))
 
 
 def match_relatives(graph: TaskGraph, matched: DataFrame, seed: int = 0, rule: str = "squared_over_product") -> DataFrame:
@@ -152,13 +154,13 @@ def heavy_edge_matching(graph: TaskGraph, bound: int | None, config: Config, par
 def cluster(graph: TaskGraph, most: int, rounds: int = 6, seed: int = 0) -> DataFrame:
     """id, coarse_id: clusters of at most that weight by label propagation on volume, the alternative to matchings.
 
-    In a round, half of the vertices (by a hash of id and round) choose the neighbouring cluster of largest volume that
+    In a round, half of the vertices (by the noise of id and round) choose the neighbouring cluster of largest volume that
     has room; a cluster admits its suitors in order of volume while there is room.
     """
     labels = barrier(graph.vertices.select("id", F.col("id").alias("coarse_id")))
     for r in range(rounds):
         weights = graph.vertices.join(labels, "id").groupBy("coarse_id").agg(F.sum("c").alias("full"))
-        turn = F.pmod(F.xxhash64("id", F.lit(seed), F.lit(r)), F.lit(2)) == 0
+        turn = edge_noise(F.col("id"), F.col("id"), seed + r) % 2 == 0
         movers = graph.vertices.join(labels, "id").filter(turn).select("id", "c", F.col("coarse_id").alias("old"))
         t = labels.select(F.col("id").alias("dst"), F.col("coarse_id").alias("new"))
         volume = graph.edges.join(t, "dst").groupBy(F.col("src").alias("id"), "new").agg(F.sum("w").alias("w"))

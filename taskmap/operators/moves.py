@@ -15,12 +15,12 @@ def best_moves(gain: DataFrame) -> DataFrame:
     return gain.groupBy("id").agg(top).select("id", "m.*")
 
 
-def propose(conn: DataFrame, mapping: DataFrame, topology: Topology | MatrixTopology, locked: DataFrame | None = None, filter_mode: str = "nonnegative", relaxed_c: float = 0.25) -> DataFrame:
-    """Best moves that pass the first filter; locked vertices propose nothing.
+def propose(conn: DataFrame, mapping: DataFrame, topology: Topology | MatrixTopology, locked: DataFrame | None = None, filter_mode: str = "nonnegative", relaxed_c: float = 0.25, best: DataFrame | None = None) -> DataFrame:
+    """Best moves that pass the first filter; locked vertices propose nothing. Where they are known, best moves are given.
 
     "nonnegative" keeps gains of at least 0; "relaxed" also losses below the floor of c times the volume into the own block.
     """
-    moves = best_moves(gains(conn, mapping, topology))
+    moves = best_moves(gains(conn, mapping, topology)) if best is None else best
     if locked is not None:
         moves = moves.join(locked.select("id"), "id", "left_anti")
     if filter_mode == "nonnegative":
@@ -46,9 +46,9 @@ def reevaluated(edges: DataFrame, proposals: DataFrame, mapping: DataFrame, topo
     return near.groupBy(F.col("src").alias("id"), "pe_old", "pe_new", "gain").agg(change)
 
 
-def label_propagation(edges: DataFrame, conn: DataFrame, mapping: DataFrame, topology: Topology | MatrixTopology, locked: DataFrame | None = None, filter_mode: str = "nonnegative", relaxed_c: float = 0.25) -> DataFrame:
+def label_propagation(edges: DataFrame, conn: DataFrame, mapping: DataFrame, topology: Topology | MatrixTopology, locked: DataFrame | None = None, filter_mode: str = "nonnegative", relaxed_c: float = 0.25, best: DataFrame | None = None) -> DataFrame:
     """id, pe_old, pe_new, gain of the moves of a round."""
-    proposals = propose(conn, mapping, topology, locked, filter_mode, relaxed_c)
+    proposals = propose(conn, mapping, topology, locked, filter_mode, relaxed_c, best)
     return reevaluated(edges, proposals, mapping, topology).filter("regain >= 0").select("id", "pe_old", "pe_new", "gain")
 
 
@@ -57,15 +57,20 @@ def apply_moves(mapping: DataFrame, moves: DataFrame) -> DataFrame:
     return mapping.join(new, "id", "left").select("id", F.coalesce("new", "pe").alias("pe"))
 
 
-def update_connectivity(conn: DataFrame, edges: DataFrame, moves: DataFrame) -> DataFrame:
-    """The connectivity after moves: what neighbours lose at the old and win at the new block is added to it.
+def connectivity_change(edges: DataFrame, moves: DataFrame) -> DataFrame:
+    """id, pe, w: what neighbours of movers lose at the old block and win at the new one.
 
     Edges are symmetric, so the movers' own rows tell their neighbours; only those are read.
     """
     m = moves.select(F.col("id").alias("src"), "pe_old", "pe_new")
     near = edges.join(m, "src")
-    change = near.select(F.col("dst").alias("id"), F.explode(F.array(F.struct(F.col("pe_old").alias("pe"), (-F.col("w")).alias("w")), F.struct(F.col("pe_new").alias("pe"), F.col("w").alias("w")))).alias("x")).select("id", "x.pe", "x.w")
-    return conn.unionByName(change).groupBy("id", "pe").agg(F.sum("w").alias("w")).filter("w <> 0")
+    sides = F.array(F.struct(F.col("pe_old").alias("pe"), (-F.col("w")).alias("w")), F.struct(F.col("pe_new").alias("pe"), F.col("w").alias("w")))
+    return near.select(F.col("dst").alias("id"), F.explode(sides).alias("x")).groupBy("id", "x.pe").agg(F.sum("x.w").alias("w")).filter("w <> 0")
+
+
+def update_connectivity(conn: DataFrame, edges: DataFrame, moves: DataFrame) -> DataFrame:
+    """The connectivity after moves: their change is added to it."""
+    return conn.unionByName(connectivity_change(edges, moves)).groupBy("id", "pe").agg(F.sum("w").alias("w")).filter("w <> 0")
 
 
 def rebuild_connectivity(conn: DataFrame, edges: DataFrame, mapping: DataFrame, moves: DataFrame) -> DataFrame:
@@ -89,4 +94,4 @@ def refreshed(cached: DataFrame, changed: DataFrame, conn: DataFrame, mapping: D
     return cached.join(changed, "id", "left_anti").unionByName(new)
 
 
-__all__ = ["apply_moves", "best_moves", "costs", "dirty", "label_propagation", "propose", "rebuild_connectivity", "reevaluated", "refreshed", "update_connectivity"]
+__all__ = ["apply_moves", "best_moves", "connectivity_change", "costs", "dirty", "label_propagation", "propose", "rebuild_connectivity", "reevaluated", "refreshed", "update_connectivity"]

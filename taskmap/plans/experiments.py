@@ -6,28 +6,35 @@ which is materialised first, and writing the mapping.
 
 from __future__ import annotations
 
+import json
 import time
 from collections.abc import Callable, Iterator
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from taskmap import metrics as me
 from taskmap import objective as ob
 from taskmap.config import DEEP_PASSES, Config
+from taskmap.functions import kernels
 from taskmap.graph import TaskGraph
 from taskmap.plans import baselines as bl
 from taskmap.plans.iterate import Clock, barrier
 from taskmap.plans.multilevel import multilevel_map, partition_edge_cut
 from taskmap.plans.multisection import multisection
 from taskmap.sources.graphs import BUILDERS
-from taskmap.topology import Topology
+from taskmap.topology import Topology, load_bound
 
 HIERARCHIES = [f"4:8:{h}" for h in range(1, 7)]
 DISTANCE = "1:10:100"
 SEEDS = 5
 
 Mapper = Callable[[TaskGraph, Topology, Config], DataFrame]
+Kernel = Callable[[kernels.Small, Topology, Config], np.ndarray]
 
 #: Own comparison, then the serial baselines, then the edge-cut partitioner as a mapper.
 MAPPERS: dict[str, Mapper] = {
@@ -52,62 +59,165 @@ ABLATIONS: dict[str, tuple[str, dict]] = {
     "rebalance_by_cost": ("integrated", {"rebalance_objective": "comm"}),
     "rating_by_weight": ("integrated", {"rating": "weight"}),
     "fixed_imbalance": ("multisection", {"adaptive": False}),
+    "clustering": ("integrated", {"coarsening": "cluster"}),
 }
+#: Points of the performance profile, by the excess in percent.
+TAUS = {"0": 1.0, "5": 1.05, "20": 1.2, "50": 1.5, "100": 2.0}
 
 
-def timed(g: TaskGraph, t: Topology, run: Mapper, config: Config) -> tuple[DataFrame, float]:
-    began = time.perf_counter()
-    mapping = barrier(run(g, t, config))
-    return mapping, time.perf_counter() - began
+def _serial(preset: str, rounds: int) -> Kernel:
+    def run(g: kernels.Small, t: Topology, c: Config) -> np.ndarray:
+        own = c.but(**bl.PRESETS[preset])
+        bound = np.full(t.k, load_bound(int(g.c.sum()), t.k, c.eps_num, c.eps_den))
+        return kernels.sequential_lp(g, kernels.integrated(g, t, own), t.dense(), bound, own, rounds)
+
+    return run
+
+
+def _cut_only(g: kernels.Small, t: Topology, c: Config) -> np.ndarray:
+    return kernels.integrated(g, Topology.flat(t.k), c.but(filter_mode="relaxed"))
+
+
+def _two_phase(g: kernels.Small, t: Topology, c: Config) -> np.ndarray:
+    blocks = _cut_only(g, t, c)
+    volume = np.zeros((t.k, t.k))
+    np.add.at(volume, (blocks[g.src], blocks[g.dst]), g.w)
+    np.fill_diagonal(volume, 0)
+    return kernels.place_blocks(volume, t.dense().astype(float))[blocks]
+
+
+#: What the mappers do with a graph below Config.small_edges, in one task.
+KERNELS: dict[str, Kernel] = {
+    "multisection": lambda g, t, c: kernels.multisection(g, t, c),
+    "multisection_deep": lambda g, t, c: kernels.multisection(g, t, c.but(passes=DEEP_PASSES)),
+    "integrated": lambda g, t, c: kernels.integrated(g, t, c),
+    "serial_multisection_strong": lambda g, t, c: kernels.multisection(g, t, c.but(**bl.PRESETS["strong"], local_search=bl.SEARCH["strong"])),
+    "serial_multisection_fast": lambda g, t, c: kernels.multisection(g, t, c.but(**bl.PRESETS["fast"])),
+    "serial_integrated_strong": _serial("strong", 20),
+    "serial_integrated_fast": _serial("fast", 3),
+    "cut_only": _cut_only,
+    "cut_only_deep": lambda g, t, c: _cut_only(g, t, c.but(passes=DEEP_PASSES)),
+    "two_phase": _two_phase,
+}
+
+
+def measured(g: kernels.Small, algorithm: str, t: Topology, config: Config) -> tuple[int, int, int, float]:
+    """Cost, edge-cut, heaviest block and CPU seconds of a run."""
+    began = time.process_time()
+    pe = KERNELS[algorithm](g, t, config)
+    seconds = time.process_time() - began
+    return kernels.objective(g, pe, t.dense()), kernels.edge_cut(g, pe), int(np.bincount(pe, weights=g.c, minlength=t.k).max()), seconds
+
+
+def arrays(g: TaskGraph, config: Config = Config()) -> kernels.Small | None:
+    """The graph as arrays on the driver, if it is below config.small_edges."""
+    if g.edges.count() > config.small_edges:
+        return None
+    v, e = (x.toPandas() for x in (g.vertices, g.edges))
+    return kernels.Small.of(*(x.to_numpy() for x in (v["id"], v["c"], e["src"], e["dst"], e["w"])))[0]
+
+
+def spread(spark: SparkSession, small: kernels.Small, jobs: list[tuple], run: Callable[[kernels.Small, tuple], list[tuple]], schema: str) -> DataFrame:
+    """Rows of run(graph, job) for all jobs, a job for each task. The graph is broadcast: it is below Config.small_edges."""
+    shared = spark.sparkContext.broadcast(small)
+    listed = spark.createDataFrame([(i, json.dumps(j)) for i, j in enumerate(jobs)], "number int, job string")
+
+    def task(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        kinds = pa.schema([(f.name, {"string": pa.string(), "int": pa.int32(), "bigint": pa.int64(), "double": pa.float64()}[f.dataType.simpleString()]) for f in fields])
+        for batch in batches:
+            rows = [row for job in batch.column("job").to_pylist() for row in run(shared.value, json.loads(job))]
+            yield from pa.Table.from_pylist([dict(zip(kinds.names, r)) for r in rows], schema=kinds).to_batches()
+
+    fields = T._parse_datatype_string(schema).fields
+    return listed.repartitionByRange(min(len(jobs), 4 * spark.sparkContext.defaultParallelism), F.xxhash64("number")).mapInArrow(task, schema)
+
 
+def runs(spark: SparkSession, folder: str, graphs: list[str], algorithms: list[str], hierarchies: list[str] = HIERARCHIES, seeds: int = 1, config: Config = Config()) -> DataFrame:
+    """RUNS: one row for each graph, hierarchy, algorithm and seed; seconds are CPU seconds of the algorithm alone.
 
-def runs(spark: SparkSession, folder: str, graphs: list[str], algorithms: list[str], hierarchies: list[str] = HIERARCHIES, seeds: int = 1, config: Config = Config()) -> Iterator[dict]:
-    """One row for each graph, hierarchy, algorithm and seed."""
+    Runs of one graph are independent: below config.small_edges each is a task of its own, so the cluster runs many at
+    once; larger graphs are mapped by the distributed plans one after another (wall seconds then).
+    """
+    jobs = [(a, h, s) for a in algorithms for h in hierarchies for s in range(seeds)]
+    out = None
     for name in graphs:
         built = BUILDERS[name](spark, folder)
         g = TaskGraph(barrier(built.vertices), barrier(built.edges))
-        n = g.vertices.count()
-        for h in hierarchies:
-            t = Topology.parse(h, DISTANCE)
-            for algorithm in algorithms:
-                for seed in range(seeds):
-                    mapping, seconds = timed(g, t, MAPPERS[algorithm], config.but(seed=seed))
-                    j = ob.objective(g, mapping, t).head()["j"]
-                    cut = ob.edge_cut(g, mapping).head()["cut"]
-                    top = ob.imbalance(g.vertices, mapping, t.k).head()["max_block"]
-                    yield {"algorithm": algorithm, "instance": name, "hierarchy": h, "seed": seed, "n": n, "j": j, "edge_cut": cut, "max_block": top, "seconds": seconds}
-
-
-def table(spark: SparkSession, rows: list[dict]) -> DataFrame:
-    order = ["algorithm", "instance", "hierarchy", "seed", "n", "j", "edge_cut", "max_block", "seconds"]
-    return spark.createDataFrame([tuple(r[c] for c in order) for r in rows], me.RUNS)
-
-
-def comparison(spark: SparkSession, folder: str, graphs: list[str], algorithms: list[str], base: str, **more) -> dict[str, DataFrame]:
-    """Profile, best shares, excess and speedups of algorithms on graphs."""
-    means = me.seed_average(table(spark, list(runs(spark, folder, graphs, algorithms, **more))))
-    return {
-        "profile": me.performance_profile(means, [1.0, 1.02, 1.05, 1.1, 1.2, 1.5, 2.0, 3.0]),
-        "best": me.best_share(means),
-        "excess": me.excess_over_best(means),
-        "speedups": me.speedups(means, base),
-    }
-
-
-def ablation(spark: SparkSession, folder: str, name: str, graphs: list[str], hierarchies: list[str] = HIERARCHIES, seeds: int = SEEDS) -> DataFrame:
-    """instance, hierarchy, ratio of the cost with the change to that without, both as means over seeds."""
-    algorithm, change = ABLATIONS[name]
-    usual = me.seed_average(table(spark, list(runs(spark, folder, graphs, [algorithm], hierarchies, seeds))))
-    other = me.seed_average(table(spark, list(runs(spark, folder, graphs, [algorithm], hierarchies, seeds, Config().but(**change))))).select("instance", "hierarchy", F.col("j").alias("other"))
-    return usual.join(other, ["instance", "hierarchy"]).select("instance", "hierarchy", F.round(F.col("other") / F.col("j"), 6).alias("ratio"))
-
-
-def phases(spark: SparkSession, folder: str, graph: str = "mesh", hierarchy: str = "4:8:6", config: Config = Config(small_edges=0)) -> DataFrame:
-    """Seconds and shares of the integrated mapper's phases on the distributed path."""
-    built = BUILDERS[graph](spark, folder)
-    g, clock = TaskGraph(barrier(built.vertices), barrier(built.edges)), Clock()
-    multilevel_map(g, Topology.parse(hierarchy, DISTANCE), config, clock)
-    return me.phase_shares(me.round_log(spark, clock))
+        small = arrays(g, config)
+
+        def one(small: kernels.Small, job: tuple, name: str = name) -> list[tuple]:
+            algorithm, h, seed = job
+            return [(algorithm, name, h, seed, small.n, *measured(small, algorithm, Topology.parse(h, DISTANCE), config.but(seed=seed)))]
+
+        rows = spread(spark, small, jobs, one, me.RUNS) if small is not None else spark.createDataFrame([_distributed(g, name, *job, config) for job in jobs], me.RUNS)
+        out = rows if out is None else out.unionByName(rows)
+    return barrier(out)
+
+
+def _distributed(g: TaskGraph, name: str, algorithm: str, h: str, seed: int, config: Config) -> tuple:
+    t = Topology.parse(h, DISTANCE)
+    began = time.perf_counter()
+    mapping = barrier(MAPPERS[algorithm](g, t, config.but(seed=seed)))
+    seconds = time.perf_counter() - began
+    j = ob.objective(g, mapping, t).head()["j"]
+    cut = ob.edge_cut(g, mapping).head()["cut"]
+    top = ob.imbalance(g.vertices, mapping, t.k).head()["max_block"]
+    return algorithm, name, h, seed, g.vertices.count(), j, cut, top, seconds
+
+
+def comparison(spark: SparkSession, folder: str, graphs: list[str], algorithms: list[str], base: str, hierarchies: list[str] = HIERARCHIES, seeds: int = SEEDS) -> DataFrame:
+    """A row for each algorithm: its share of best costs, excess over the best, and speedup over the base."""
+    return summary(runs(spark, folder, graphs, algorithms, hierarchies, seeds), base)
+
+
+def summary(rows: DataFrame, base: str) -> DataFrame:
+    """algorithm, n_instances, n_best, share, mean_excess, worst_ratio, speedup (of CPU seconds over the base, geometric mean)
+    and share_within_<tau>: the performance profile at a few points."""
+    means = barrier(me.seed_average(rows))
+    out = me.best_share(means).join(me.excess_over_best(means), "algorithm")
+    out = out.join(me.speedups(means, base).select("algorithm", F.col("geo_mean").alias("speedup")), "algorithm")
+    profile = me.performance_profile(means, list(TAUS.values()))
+    for name, tau in TAUS.items():
+        out = out.join(profile.filter(F.col("tau") == tau).select("algorithm", F.col("share").alias(f"share_within_{name}")), "algorithm")
+    return out
+
+
+def ablations(spark: SparkSession, folder: str, graphs: list[str], hierarchies: list[str] = HIERARCHIES, seeds: int = SEEDS) -> DataFrame:
+    """change, mapper, n_instances, geo_mean, least, most: the cost with a change over that without, both means over seeds."""
+    usual = barrier(me.seed_average(runs(spark, folder, graphs, sorted({a for a, _ in ABLATIONS.values()}), hierarchies, seeds)))
+    out = None
+    for name, (algorithm, change) in ABLATIONS.items():
+        other = me.seed_average(runs(spark, folder, graphs, [algorithm], hierarchies, seeds, Config().but(**change)))
+        both = other.select("algorithm", "instance", "hierarchy", F.col("j").alias("other")).join(usual, ["algorithm", "instance", "hierarchy"])
+        ratio = F.col("other") / F.col("j")
+        row = both.groupBy("algorithm").agg(F.count("*").alias("n_instances"), me.geo_mean(ratio).alias("geo_mean"), F.round(F.min(ratio), 6).alias("least"), F.round(F.max(ratio), 6).alias("most"))
+        row = row.select(F.lit(name).alias("change"), F.col("algorithm").alias("mapper"), "n_instances", "geo_mean", "least", "most")
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+def phases(spark: SparkSession, folder: str, graphs: list[str], hierarchy: str = "4:8:6", seeds: int = 1, config: Config = Config()) -> DataFrame:
+    """instance, phase, seconds, share: where the integrated mapper's time goes; means over seeds."""
+    out = None
+    for name in graphs:
+        built = BUILDERS[name](spark, folder)
+        g, t = TaskGraph(barrier(built.vertices), barrier(built.edges)), Topology.parse(hierarchy, DISTANCE)
+        small = arrays(g, config)
+
+        def one(small: kernels.Small, job: tuple, name: str = name, t: Topology = t) -> list[tuple]:
+            spent: dict[str, float] = {}
+            kernels.integrated(small, t, config.but(seed=job[0]), spent=spent)
+            return [(name, phase, seconds) for phase, seconds in spent.items()]
+
+        if small is not None:
+            rows = spread(spark, small, [(s,) for s in range(seeds)], one, "instance string, phase string, seconds double")
+        else:
+            clock = Clock()
+            multilevel_map(g, t, config, clock)
+            rows = spark.createDataFrame([(name, phase, float(s)) for phase, s in clock.seconds().items()], "instance string, phase string, seconds double")
+        out = rows if out is None else out.unionByName(rows)
+    sums = barrier(out).groupBy("instance", "phase").agg(F.round(F.avg("seconds"), 6).alias("seconds"))
+    return sums.withColumn("share", F.round(F.col("seconds") / F.sum("seconds").over(W.partitionBy("instance")), 6))
 
 
 def layout(spark: SparkSession, folder: str, graph: str = "mesh", k: int = 32) -> dict[str, float]:
@@ -125,17 +235,16 @@ def layout(spark: SparkSession, folder: str, graph: str = "mesh", k: int = 32) -
     return out
 
 
-def report(spark: SparkSession, folder: str) -> Iterator[dict]:
+def report(spark: SparkSession, folder: str, graphs: list[str] | None = None, hierarchies: list[str] = HIERARCHIES, seeds: int = SEEDS) -> Iterator[dict]:
     """All experiments: every graph and machine, five seeds, and the phases of each graph on the largest machine."""
-    graphs = list(BUILDERS)
+    graphs = graphs or list(BUILDERS)
+    every = runs(spark, folder, graphs, list(KERNELS), hierarchies, seeds)
+    yield from ({"experiment": "runs", **r.asDict()} for r in every.collect())
     for name, algorithms, base in (("own", OWN, "multisection_deep"), ("serial", SERIAL, "serial_multisection_strong"), ("cut_only", CUT_ONLY, "cut_only")):
-        for measure, df in comparison(spark, folder, graphs, algorithms, base, hierarchies=HIERARCHIES, seeds=SEEDS).items():
-            for r in df.collect():
-                yield {"experiment": name, "measure": measure, **r.asDict()}
-    for name in ABLATIONS:
-        for r in ablation(spark, folder, name, graphs).collect():
+        for r in summary(every.filter(F.col("algorithm").isin(algorithms)), base).collect():
             yield {"experiment": name, **r.asDict()}
-    for name in graphs:
-        for r in phases(spark, folder, name).collect():
-            yield {"experiment": "phases", "instance": name, **r.asDict()}
+    for r in ablations(spark, folder, graphs, hierarchies, seeds).collect():
+        yield {"experiment": "ablation", **r.asDict()}
+    for r in phases(spark, folder, graphs, hierarchies[-1]).collect():
+        yield {"experiment": "phases", **r.asDict()}
     yield {"experiment": "layout", **layout(spark, folder)}

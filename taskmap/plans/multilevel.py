@@ -35,32 +35,52 @@ def _sized(graph: TaskGraph) -> tuple[int, int]:
     return graph.vertices.count(), graph.edges.count()
 
 
-def coarsen(graph: TaskGraph, bound: int | None, least: int, config: Config, clock: Clock | None = None, method: str = "matching", part: DataFrame | None = None) -> list[Level]:
+def _projection(graph: TaskGraph, bound: int | None, config: Config, part: DataFrame | None, method: str) -> DataFrame:
+    """id, coarse_id of all vertices by one of the methods."""
+    if method == "matching":
+        matched, _, _ = heavy_edge_matching(graph, bound, config, part)
+        return barrier(completed(graph.vertices, matched))
+    most = max(2, (bound or 1 << 62) // config.cluster_share)
+    return barrier(cluster(graph, most, config.cluster_rounds, config.seed))
+
+
+def coarsen(graph: TaskGraph, bound: int | None, least: int, config: Config, clock: Clock | None = None, part: DataFrame | None = None) -> list[Level]:
     """Levels from fine to coarse: until fewer than `least` vertices, or the graph is small enough for one task's kernel
-    (config.small_edges), or a level shrinks too little."""
+    (config.small_edges). A level that matchings shrink too little is clustered; one that clusters shrink too little is the last."""
     clock = clock or Clock()
     n, m = _sized(graph)
     levels = [Level(graph, n, m, None)]
     while n >= least and m > config.small_edges and len(levels) <= config.levels:
-        with clock.phase("coarsen", len(levels) - 1, n=n, m=m):
-            if method == "matching":
-                matched, _, _ = heavy_edge_matching(graph, bound, config, part)
-                projection = barrier(completed(graph.vertices, matched))
-            else:
-                projection = barrier(cluster(graph, bound or 1 << 62, seed=config.seed))
-        with clock.phase("contract", len(levels) - 1):
-            small = contract(graph, projection)
-            graph = TaskGraph(barrier(small.vertices), barrier(small.edges))
-            if part is not None:
-                part = barrier(part.join(projection, "id").select(F.col("coarse_id").alias("id"), "part").distinct())
-            before, (n, m) = n, _sized(graph)
-        if n > (1 - config.least_shrink) * before:
+        for method in dict.fromkeys((config.coarsening, "cluster")):
+            with clock.phase("coarsen", len(levels) - 1, n=n, m=m):
+                projection = _projection(graph, bound, config, part, method)
+            with clock.phase("contract", len(levels) - 1):
+                small = contract(graph, projection)
+                small = TaskGraph(barrier(small.vertices), barrier(small.edges))
+                size = _sized(small)
+            if shrunk := size[0] <= (1 - config.least_shrink) * n:
+                break
+        if not shrunk:
             break
+        if part is not None:
+            part = barrier(part.join(projection, "id").select(F.col("coarse_id").alias("id"), "part").distinct())
+        graph, (n, m) = small, size
         levels[-1].projection = projection
         levels.append(Level(graph, n, m, None))
     return levels
 
 
+def scattered(graph: TaskGraph, k: int | DataFrame, part: DataFrame | None = None) -> DataFrame:
+    """id, pe: vertices dealt to blocks by their noise, all blocks of about equal numbers; refinement starts from anything.
+
+    With part, k blocks of each part, numbered part * k on.
+    """
+    deal = F.pmod(F.xxhash64("id"), F.lit(k))
+    if part is None:
+        return graph.vertices.select("id", deal.cast("int").alias("pe"))
+    return part.select("id", (F.col("part") * k + deal).cast("int").alias("pe"))
+
+
 def _arrays(table: pa.Table) -> tuple[kernels.Small, np.ndarray]:
     """A small graph from rows that are vertices (src null) or edges."""
     src = table.column("src")
@@ -101,7 +121,8 @@ def in_kernel(graph: TaskGraph, run, part: DataFrame | None = None, start: DataF
 
 
 def initial_mapping(coarse: TaskGraph, topology: Topology, total: int, config: Config) -> DataFrame:
-    """id, pe of the coarsest graph by multisection along the tree, in one task; restarts keep the best."""
+    """id, pe of the coarsest graph by multisection along the tree, in one task; restarts keep the best. The task's graph has
+    fewer than coarsest_factor * k vertices, whatever the input's size."""
     dist = topology.dense()
     bound = np.full(topology.k, load_bound(total, topology.k, config.eps_num, config.eps_den))
 
@@ -155,7 +176,9 @@ def multilevel_map(graph: TaskGraph, topology: Topology | MatrixTopology, config
             mapping = barrier(uncontract(mapping, levels[-2].projection))
         return back(levels[:-1], mapping, topology, limits(spark, k, total, config), config, clock)
     with clock.phase("initial", len(levels) - 1):
-        mapping = barrier(initial_mapping(levels[-1].graph, tree, total, config))
+        # coarsening that ended early leaves more than a task should hold
+        few = levels[-1].n < config.coarsest_factor * k
+        mapping = barrier(initial_mapping(levels[-1].graph, tree, total, config) if few else scattered(levels[-1].graph, k))
     return back(levels, mapping, topology, limits(spark, k, total, config), config, clock)
 
 
@@ -189,7 +212,8 @@ def split_parts(graph: TaskGraph, part: DataFrame, arity: int, bounds: DataFrame
     for level in levels[:-1]:
         coarse_part = barrier(coarse_part.join(level.projection, "id").select(F.col("coarse_id").alias("id"), "part").distinct())
     with clock.phase("initial", len(levels) - 1):
-        mapping = barrier(in_kernel(levels[-1].graph, whole, coarse_part))
+        few = levels[-1].m <= config.small_edges or levels[-1].n < config.coarsest_factor * arity * len(rows)
+        mapping = barrier(in_kernel(levels[-1].graph, whole, coarse_part) if few else scattered(levels[-1].graph, arity, coarse_part))
     spread = bounds.select("part", "bound", "average", F.explode(F.sequence(F.lit(0), F.lit(arity - 1))).alias("s"))
     blocks = barrier(spread.select((F.col("part") * arity + F.col("s")).cast("int").alias("pe"), "part", "bound", "average"))
     return back(levels, mapping, Topology.flat(max(2, arity * (max(rows) + 1))), blocks, inner, clock)

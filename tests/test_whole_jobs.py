@@ -7,9 +7,9 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
+from taskmap import metrics as me
 from taskmap.config import DEEP_PASSES, Config
 from taskmap.functions import kernels as kn
-from taskmap.llm import suffixes
 from taskmap.plans import baselines as bl
 from taskmap.plans import experiments as ex
 from taskmap.plans.iterate import barrier
@@ -115,30 +115,34 @@ def test_registered_loops_have_the_settings_of_the_mappers(spark, tiny, monkeypa
         assert asked[name] == (config, {})
 
 
-def test_removal_leaves_other_characters(spark):
-    twice = "é" + "".join(f"{i * i}ж" for i in range(400))
-    rows = [(0, "a \ufffd b", 5), (1, None, None), (2, "\ufffdone à" + twice, 0), (3, "two â" + twice + "\ufffd", 0)]
-    got = {r["doc_id"]: (r["text"], r["n_chars"]) for r in suffixes.without_repeats(spark.createDataFrame(rows, "doc_id long, text string, n_chars long")).collect()}
-    assert got[0] == rows[0][1:] and got[1] == (None, None)
-    # of what both have, one copy goes; the marks before and behind stay, and nothing is cut within a character
-    assert got[2] == (rows[2][1], 0) or got[2][0].startswith("\ufffdone ")
-    assert got[3] == (rows[3][1], 0) or (got[3][0].endswith("\ufffd") and got[3][0].startswith("two "))
-    assert any(n == len(t) and n < 100 for t, n in (got[2], got[3]))
-
-
-def test_spans_of_whole_characters():
-    raw = "aéж€b".encode()  # a, two bytes, two bytes, three bytes, b
-    assert suffixes.whole_characters(raw, np.array([[2, 4], [6, 7]])).tolist() == [[1, 5], [5, 8]]
-    assert suffixes.whole_characters(raw, np.array([[0, 1], [8, 9]])).tolist() == [[0, 1], [8, 9]]
-
-
-def test_report_runs_all_experiments(spark, monkeypatch):
-    seen = []
-    monkeypatch.setattr(ex, "comparison", lambda s, d, graphs, algorithms, base, **more: seen.append((graphs, more)) or {})
-    monkeypatch.setattr(ex, "runs", lambda s, d, graphs, algorithms, hierarchies, seeds, config=None: seen.append((graphs, {"hierarchies": hierarchies, "seeds": seeds})) or [dict(algorithm="integrated", instance="a", hierarchy="4:8:1", seed=i, n=1, j=2 + i, edge_cut=1, max_block=1, seconds=1.0) for i in range(2)])
-    monkeypatch.setattr(ex, "phases", lambda s, d, graph: spark.createDataFrame([("refine", 1.0)], "phase string, seconds double"))
-    monkeypatch.setattr(ex, "layout", lambda s, d: {})
-    rows = list(ex.report(spark, ""))
-    assert seen and all(x == (list(ex.BUILDERS), {"hierarchies": ex.HIERARCHIES, "seeds": 5}) for x in seen)
-    assert [r["instance"] for r in rows if r["experiment"] == "phases"] == list(ex.BUILDERS)
-    assert [r["ratio"] for r in rows if "ratio" in r] == [1.0] * len(ex.ABLATIONS)
+def test_experiments_run_everything(spark, tiny):
+    """All algorithms on a graph, a task for each run; the measures over them, ablations and phases."""
+    rows = ex.runs(spark, tiny, ["mesh", "chain"], list(ex.KERNELS), ["2:2", "2:2:2"], 2).collect()
+    assert len(rows) == 2 * len(ex.KERNELS) * 2 * 2 and {r["algorithm"] for r in rows} == set(ex.MAPPERS)
+    assert all(r["j"] >= 2 * r["edge_cut"] >= 0 and r["seconds"] > 0 for r in rows)
+    told = {r["algorithm"]: r for r in ex.summary(spark.createDataFrame([tuple(r) for r in rows], me.RUNS), "cut_only").collect()}
+    assert told["cut_only"]["speedup"] == 1 and sum(r["n_best"] for r in told.values()) >= 4
+    assert told["multisection"]["mean_excess"] < told["cut_only"]["mean_excess"]
+    changes = ex.ablations(spark, tiny, ["mesh"], ["2:2"], 1).collect()
+    assert [r["change"] for r in changes] == list(ex.ABLATIONS) and all(0.2 < r["geo_mean"] < 5 for r in changes)
+    shares = ex.phases(spark, tiny, ["mesh"], "2:2:2").collect()
+    assert {"coarsen", "contract", "initial", "refine", "uncontract"} == {r["phase"] for r in shares}
+    assert sum(r["share"] for r in shares) == pytest.approx(1, abs=1e-4)
+
+
+def test_kernels_of_the_experiments_are_the_mappers(spark, tiny):
+    """A run in a task of its own gives the mapping's cost that the plan gives."""
+    from taskmap import objective as ob
+    from taskmap.sources.graphs import mesh
+
+    built = mesh(spark, tiny)
+    g = type(built)(barrier(built.vertices), barrier(built.edges))
+    small, t = ex.arrays(g), Topology.parse("2:2:2", "1:10:100")
+    for name in ("multisection", "integrated", "serial_multisection_fast", "serial_integrated_fast", "cut_only", "two_phase"):
+        want = ob.objective(g, ex.MAPPERS[name](g, t, Config()), t).head()["j"]
+        assert ex.measured(small, name, t, Config())[0] == want, name
+
+
+def test_larger_graphs_are_mapped_by_the_plans(spark, tiny):
+    rows = ex.runs(spark, tiny, ["mesh"], ["integrated"], ["2:2"], 1, Config(small_edges=100, rounds=2, patience=1)).collect()
+    assert len(rows) == 1 and rows[0]["j"] > 0
