@@ -41,8 +41,8 @@ def best_share(means: DataFrame) -> DataFrame:
 
 
 def excess_over_best(means: DataFrame) -> DataFrame:
-    """algorithm, mean_excess, worst_ratio."""
-    ratio = F.col("j") / F.col("best")
+    """algorithm, mean_excess, worst_ratio. Instances whose best cost is 0 count where the algorithm meets it."""
+    ratio = F.when(F.col("j") == F.col("best"), F.lit(1.0)).otherwise(F.try_divide(F.col("j"), F.col("best")))
     return with_best(means).groupBy("algorithm").agg(F.round(F.avg(ratio) - 1, 6).alias("mean_excess"), F.round(F.max(ratio), 6).alias("worst_ratio"))
 
 
@@ -53,7 +53,7 @@ def geo_mean(x) -> F.Column:
 def speedups(means: DataFrame, base: str) -> DataFrame:
     """algorithm, geo_mean, min, max of the base's time over the algorithm's."""
     b = means.filter(F.col("algorithm") == base).select("instance", "hierarchy", F.col("seconds").alias("base_s"))
-    own = means.join(b, ["instance", "hierarchy"]).withColumn("x", F.col("base_s") / F.col("seconds"))
+    own = means.join(b, ["instance", "hierarchy"]).withColumn("x", F.try_divide("base_s", "seconds"))
     return own.groupBy("algorithm").agg(geo_mean(F.col("x")).alias("geo_mean"), F.round(F.min("x"), 6).alias("least"), F.round(F.max("x"), 6).alias("most"))
 
 

@@ -65,6 +65,11 @@ ABLATIONS: dict[str, tuple[str, dict]] = {
 TAUS = {"0": 1.0, "5": 1.05, "20": 1.2, "50": 1.5, "100": 2.0}
 
 
+def machine(hierarchy: str) -> Topology:
+    """With as many distances as the hierarchy has levels."""
+    return Topology.parse(hierarchy, ":".join(DISTANCE.split(":")[: hierarchy.count(":") + 1]))
+
+
 def _serial(preset: str, rounds: int) -> Kernel:
     def run(g: kernels.Small, t: Topology, c: Config) -> np.ndarray:
         own = c.but(**bl.PRESETS[preset])
@@ -147,7 +152,7 @@ def runs(spark: SparkSession, folder: str, graphs: list[str], algorithms: list[s
 
         def one(small: kernels.Small, job: tuple, name: str = name) -> list[tuple]:
             algorithm, h, seed = job
-            return [(algorithm, name, h, seed, small.n, *measured(small, algorithm, Topology.parse(h, DISTANCE), config.but(seed=seed)))]
+            return [(algorithm, name, h, seed, small.n, *measured(small, algorithm, machine(h), config.but(seed=seed)))]
 
         rows = spread(spark, small, jobs, one, me.RUNS) if small is not None else spark.createDataFrame([_distributed(g, name, *job, config) for job in jobs], me.RUNS)
         out = rows if out is None else out.unionByName(rows)
@@ -155,7 +160,7 @@ def runs(spark: SparkSession, folder: str, graphs: list[str], algorithms: list[s
 
 
 def _distributed(g: TaskGraph, name: str, algorithm: str, h: str, seed: int, config: Config) -> tuple:
-    t = Topology.parse(h, DISTANCE)
+    t = machine(h)
     began = time.perf_counter()
     mapping = barrier(MAPPERS[algorithm](g, t, config.but(seed=seed)))
     seconds = time.perf_counter() - began
@@ -189,7 +194,7 @@ def ablations(spark: SparkSession, folder: str, graphs: list[str], hierarchies:
     for name, (algorithm, change) in ABLATIONS.items():
         other = me.seed_average(runs(spark, folder, graphs, [algorithm], hierarchies, seeds, Config().but(**change)))
         both = other.select("algorithm", "instance", "hierarchy", F.col("j").alias("other")).join(usual, ["algorithm", "instance", "hierarchy"])
-        ratio = F.col("other") / F.col("j")
+        ratio = F.try_divide("other", "j")
         row = both.groupBy("algorithm").agg(F.count("*").alias("n_instances"), me.geo_mean(ratio).alias("geo_mean"), F.round(F.min(ratio), 6).alias("least"), F.round(F.max(ratio), 6).alias("most"))
         row = row.select(F.lit(name).alias("change"), F.col("algorithm").alias("mapper"), "n_instances", "geo_mean", "least", "most")
         out = row if out is None else out.unionByName(row)
@@ -201,7 +206,7 @@ def phases(spark: SparkSession, folder: str, graphs: list[str], hierarchy: str =
     out = None
     for name in graphs:
         built = BUILDERS[name](spark, folder)
-        g, t = TaskGraph(barrier(built.vertices), barrier(built.edges)), Topology.parse(hierarchy, DISTANCE)
+        g, t = TaskGraph(barrier(built.vertices), barrier(built.edges)), machine(hierarchy)
         small = arrays(g, config)
 
         def one(small: kernels.Small, job: tuple, name: str = name, t: Topology = t) -> list[tuple]:
