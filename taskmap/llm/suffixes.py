@@ -69,50 +69,61 @@ class SuffixArray:
     def word(self, starts: np.ndarray, k: int) -> np.ndarray:
         return self.words[starts + self.offsets[k]].astype(U64)
 
+    def compare(self, mine: np.ndarray, other: SuffixArray, theirs: np.ndarray) -> np.ndarray:
+        """-1, 0 or 1 for each pair of suffixes whose first words are equal: by the first word that differs."""
+        sign, at = np.zeros(len(mine), np.int8), np.arange(len(mine))
+        for k in range(1, len(self.offsets)):
+            a, b = self.word(mine[at], k), other.word(theirs[at], k)
+            differ = a != b
+            sign[at[differ]] = np.where(a[differ] < b[differ], -1, 1)
+            at = at[~differ]
+            if not len(at):
+                break
+        return sign
+
     def order(self) -> tuple[np.ndarray, np.ndarray]:
         """The lexicographic order of the starts, equal suffixes as they stand, and which suffix differs from the one before:
-        word by word, each time only where suffixes are still equal."""
+        word by word, each time only where suffixes are still mixed."""
         order = np.argsort(self.lead, kind="stable")
         lead = self.lead[order]
         new = np.append(True, lead[1:] != lead[:-1])[: len(order)]
+        if not len(order):
+            return order, new
+        group = np.cumsum(new) - 1
+        first = np.flatnonzero(new)[group]
+        tied = np.flatnonzero(first < np.arange(len(order)))
+        apart = self.compare(self.starts[order[tied]], self, self.starts[order[first[tied]]]) != 0
+        mixed_groups = np.zeros(group[-1] + 1, bool)
+        mixed_groups[group[tied[apart]]] = True
+        at = np.flatnonzero(mixed_groups[group])
         for k in range(1, len(self.offsets)):
-            group = np.cumsum(new) - 1
-            tied = np.flatnonzero(np.bincount(group)[group] > 1) if len(group) else group
-            if not len(tied):
+            if not len(at):
                 break
-            some, g = order[tied], group[tied]
+            own = np.cumsum(new[at]) - 1
+            at = at[np.bincount(own)[own] > 1]
+            some, g = order[at], np.cumsum(new[at]) - 1
             word = self.word(self.starts[some], k)
             by = np.lexsort((word, g))
-            order[tied], word = some[by], word[by]
-            new[tied] = np.append(True, (g[1:] != g[:-1]) | (word[1:] != word[:-1]))
+            order[at], word = some[by], word[by]
+            new[at] = np.append(True, (g[1:] != g[:-1]) | (word[1:] != word[:-1]))[: len(at)]
         return order, new
 
     def only(self, which: np.ndarray) -> SuffixArray:
         return SuffixArray(self.data, self.starts[which], self.offsets[-1] + 8, self.lead[which])
 
-    def _bound(self, low: np.ndarray, high: np.ndarray, k: int, word: np.ndarray, right: bool) -> np.ndarray:
-        """Where words would be inserted in ranges of the array that agree up to word k."""
-        low, high = low.copy(), high.copy()
+    def scan(self, other: SuffixArray) -> tuple[np.ndarray, np.ndarray]:
+        """Of each suffix of another array: its place here, and whether it stands here."""
+        low, high = (np.searchsorted(self.lead, other.lead, side) for side in ("left", "right"))
+        found = np.zeros(len(other), bool)
         at = np.flatnonzero(low < high)
         while len(at):
             middle = (low[at] + high[at]) // 2
-            own = self.word(self.starts[middle], k)
-            before = own <= word[at] if right else own < word[at]
-            low[at[before]] = middle[before] + 1
-            high[at[~before]] = middle[~before]
+            sign = self.compare(self.starts[middle], other, other.starts[at])
+            found[at[sign == 0]] = True
+            low[at] = np.where(sign < 0, middle + 1, np.where(sign == 0, middle, low[at]))
+            high[at] = np.where(sign < 0, high[at], middle)
             at = at[low[at] < high[at]]
-        return low
-
-    def scan(self, other: SuffixArray) -> tuple[np.ndarray, np.ndarray]:
-        """Of each suffix of another array: its place here, and whether it stands here, by the common prefix's words."""
-        low, high = (np.searchsorted(self.lead, other.lead, side) for side in ("left", "right"))
-        for k in range(1, len(self.offsets)):
-            at = np.flatnonzero(low < high)
-            if not len(at):
-                break
-            word, l, h = other.word(other.starts[at], k), low[at], high[at]
-            low[at], high[at] = self._bound(l, h, k, word, False), self._bound(l, h, k, word, True)
-        return low, low < high
+        return low, found
 
     def merged(self, newer: SuffixArray) -> SuffixArray:
         """Both in one array; no suffix stands in both."""
