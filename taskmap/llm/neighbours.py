@@ -222,7 +222,10 @@ def nearest(vectors: DataFrame, queries: Column, k: int = 10, id_name: str = "ve
     width, n = (widths[0]["width"], widths[0]["count"]) if widths else (1, 0)
     rows = rows.filter(F.size("vector") == width)
     matrix, stop = projection(width), chi_square_quantile(confidence, DIMENSIONS)
-    sample = rows.orderBy(F.xxhash64("vec_id"), "vec_id").limit(SAMPLE).select("vector").collect() if n > CELL else []
+    # of equal vectors only those with the k + 1 least ids can be among anyone's k nearest, so a very common one stays small
+    least = F.dense_rank().over(W.partitionBy("vector").orderBy("vec_id"))
+    standing = rows.withColumn("least", least).filter(F.col("least") <= k + 1).drop("least")
+    sample = standing.orderBy(F.xxhash64("vec_id"), "vec_id").limit(SAMPLE).select("vector").collect() if n > CELL else []
     points = np.array([r["vector"] for r in sample]).reshape(-1, width) @ matrix
     cells = Cells.build(points, math.ceil(n / CELL))
 
@@ -231,7 +234,7 @@ def nearest(vectors: DataFrame, queries: Column, k: int = 10, id_name: str = "ve
             t = pa.Table.from_batches([batch])
             yield pa.RecordBatch.from_arrays([pa.array(cells.of(_matrix(t, "vector") @ matrix), pa.int32()), batch.column("vec_id"), batch.column("vector")], ["cell", "vec_id", "vector"])
 
-    placed = rows.mapInArrow(place, "cell int, vec_id long, vector array<double>")
+    placed = standing.mapInArrow(place, "cell int, vec_id long, vector array<double>")
     # the smallest vector stands for queries with equal ids
     asked = rows.filter(queries).groupBy("vec_id").agg(F.min("vector").alias("vector"))
     asked = asked.mapInArrow(place, "cell int, vec_id long, vector array<double>").select("cell", "vec_id", "vector", F.lit(math.inf).alias("bound"))

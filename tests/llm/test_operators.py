@@ -413,6 +413,28 @@ def test_neighbours_in_cells(spark, tiny, monkeypatch):
     assert not neighbours.nearest(v.limit(0), F.col("vec_id") % 100 == 0).collect()
 
 
+def test_neighbours_of_common_vectors(spark, monkeypatch):
+    """A vector that most rows have, ties everywhere, fewer candidates than asked for, further columns: as brute force says."""
+    rng = np.random.default_rng(0)
+    few = [rng.integers(-2, 3, 16).astype(float) + 0.5 for _ in range(6)]
+    rows = [(int(i), few[0] if i % 3 else few[rng.integers(6)]) for i in rng.permutation(400)]
+    schema = "vec_id long, embedding array<double>, rank int, vector string, cell int"
+    frame = lambda some: spark.createDataFrame([(i, v.tolist(), 1, "x", 2) for i, v in some], schema)
+
+    def brute(some):
+        out = []
+        for q, x in some:
+            if q % 100 == 0:
+                near = sorted((float(np.sqrt(((x - v) ** 2).sum())), i) for i, v in some if i != q)[:10]
+                out += [(q, r + 1, i, round(s, 9)) for r, (s, i) in enumerate(near)]
+        return sorted(out)
+
+    for some, cell in ((rows, 20_000), (rows, 50), ([r for r in rows if r[0] % 50 == 0], 20_000)):
+        monkeypatch.setattr(neighbours, "CELL", cell)
+        got = neighbours.nearest(frame(some), F.col("vec_id") % 100 == 0, confidence=0.9999999)
+        assert sorted((r["query_id"], r["rank"], r["vec_id"], round(r["score"], 9)) for r in got.collect()) == brute(some)
+
+
 def test_chi_square():
     assert neighbours.chi_square_cdf(neighbours.chi_square_quantile(0.95, 8), 8) == pytest.approx(0.95)
     assert neighbours.chi_square_quantile(0.95, 8) == pytest.approx(15.507, abs=1e-3)

@@ -38,6 +38,18 @@ def test_stages(spark, tiny):
     assert np.all([r["n_tokens"] == len(r["ids"]) for r in out.collect()])
 
 
+def test_stages_on_odd_tables(spark, odd, nothing, tiny):
+    """Nulls, empty and long texts, repeated rows and ids, further columns with clashing names; an empty table."""
+    for name, stage in cp.STAGES:
+        out = stage(spark, odd, tiny)
+        rows = out.collect()
+        if name != cp.STAGES[-1][0]:
+            assert out.columns == odd.columns and out.dtypes == odd.dtypes
+            assert all((r["batch"], r["size"], r["row"], r["score"]) == (7, "big", "r", 0.5) for r in rows)
+        assert rows or name == cp.STAGES[0][0]
+        assert not stage(spark, nothing, tiny).collect()
+
+
 def test_run(spark, tiny):
     assert [name for name, _ in cp.STAGES][0] == "quality classifier" and len(cp.STAGES) == 5
     assert cp.run(spark, tiny).count() > 0
