@@ -86,7 +86,7 @@ def late_share(events: DataFrame, kept: DataFrame) -> DataFrame:
 
 
 def live_objective(edges: DataFrame, mapping: DataFrame, topology: Topology) -> DataFrame:
-    """start, j: what a fixed mapping costs in each window's edges; the mapping is the static side of the joins."""
+    """start, x: what a fixed mapping pays for each of a window's edges, to be summed; the mapping is the static side of the joins."""
     s = mapping.select(F.col("id").alias("a"), F.col("pe").alias("pe_a"))
     t = mapping.select(F.col("id").alias("b"), F.col("pe").alias("pe_b"))
     own = edges.join(s, "a").join(t, "b")
