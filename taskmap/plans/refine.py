@@ -11,11 +11,13 @@ from __future__ import annotations
 
 from dataclasses import dataclass, field
 
+import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from taskmap import objective as measures
 from taskmap.config import Config
+from taskmap.functions import kernels
 from taskmap.functions.kernels import State, accepts, pass_config
 from taskmap.graph import TaskGraph
 from taskmap.operators import moves as lp
@@ -123,14 +125,22 @@ def _carried(graph: TaskGraph, now: Working, moves: DataFrame, change: int, shif
 def refine(graph: TaskGraph, mapping: DataFrame, topology: Topology | MatrixTopology, blocks: DataFrame, config: Config, clock: Clock | None = None, level: int = 0) -> DataFrame:
     """id, pe: the best mapping that the loop meets. blocks(pe, part, bound, average) limit the weights.
 
+    A graph below config.small_edges, of one part, is one task's work, like everywhere: the same loop over arrays.
+
     Balanced: label propagation. Otherwise weak rebalancing up to max_weak times in a row, then strong. A candidate counts
     if it is accepted (taskmap.functions.kernels.accepts); the loop goes on from the candidate all the same, and ends when
     `patience` rounds brought no improvement that counts.
     """
     spark = graph.edges.sparkSession
     clock = clock or Clock()
-    mapping = barrier(mapping)
     bounds = {r["pe"]: (r["part"], r["bound"], r["average"]) for r in blocks.collect()}  # k rows
+    if config.small_edges and len({part for part, _, _ in bounds.values()}) == 1 and graph.edges.count() <= config.small_edges:
+        from taskmap.plans.multilevel import in_kernel
+
+        bound, dist = np.array([bounds[pe][1] for pe in sorted(bounds)]), topology.dense()
+        with clock.phase("refine", level):
+            return barrier(in_kernel(graph, lambda g, pe, _: kernels.refine(g, pe, dist, bound, config), start=mapping))
+    mapping = barrier(mapping)
     loads = {r["pe"]: r["weight"] for r in graph.vertices.join(mapping, "id").groupBy("pe").agg(F.sum("c").alias("weight")).collect()}  # k rows
     excess = _excess(loads, bounds)
     held = State(excess <= 0, _cost(graph, mapping, topology), excess)

@@ -78,15 +78,17 @@ certified("initial_restarts", T32, lambda g: ml.initial_mapping(g, T32, g.vertic
 certified("sequential_lp", T32, lambda g: bl.sequential_lp(g, trivial_mapping(g.vertices, 32), T32, CONFIG))
 
 
-def _refined(g: TaskGraph, passes: int = 1) -> DataFrame:
-    """The distributed loop from contiguous ranges, with the settings of the mappers."""
+def _refined(g: TaskGraph, config: Config = CONFIG) -> DataFrame:
+    """The loop from contiguous ranges, with the settings of the mappers."""
     n = g.vertices.count()
     start = trivial_mapping(g.vertices, 8, "range")
-    return refine(g, start, T8, limits(g.vertices.sparkSession, 8, n, CONFIG), CONFIG.but(passes=passes))
+    return refine(g, start, T8, limits(g.vertices.sparkSession, 8, n, CONFIG), config)
 
 
 certified("refine_mapping", T8, _refined)
-certified("refine_deep", T8, lambda g: _refined(g, DEEP_PASSES))
+certified("refine_deep", T8, lambda g: _refined(g, CONFIG.but(passes=DEEP_PASSES)))
+#: On the cluster, whatever the graph's size, with the published patience; the cap of all rounds is ours.
+certified("refine_distributed", T8, lambda g: _refined(g, CONFIG.but(small_edges=0)))
 
 
 def map_multisection_fixed_eps(spark: SparkSession, d: str) -> DataFrame:

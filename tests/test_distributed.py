@@ -40,13 +40,14 @@ def held(mapping, column="pe"):
 @pytest.mark.parametrize("start, change", [("modulo", {"filter_mode": "relaxed"}), ("one", {}), ("one", {"rebalance_objective": "comm", "sigma_mode": "absolute", "sigma_gap": 1})])
 def test_refinement_is_the_kernel(spark, start, change):
     """From balanced and from hopeless starts: rounds, locks, weak and strong rebalancing, changes put together."""
-    n, config = 80, Config(rounds=8, **change)
+    n, config = 80, Config(rounds=8, small_edges=0, **change)
     g, small = both(spark, n, 100, 3)
     at = {"modulo": np.arange(n) % 8, "one": np.where(np.arange(n) < 60, 0, np.arange(n) % 8)}[start]
     want = kn.refine(small, at.astype(np.int64), T.dense(), np.full(8, load_bound(n, 8, 3, 100)), config)
     first = spark.createDataFrame([(i, int(p)) for i, p in enumerate(at)], "id long, pe int")
     got = refine(g, first, T, limits(spark, 8, n, config), config)
     assert (held(got) == want).all()
+    assert (held(refine(g, first, T, limits(spark, 8, n, config), config.but(small_edges=10**6))) == want).all()
     assert ob.objective(g, got, T).head()["j"] == kn.objective(small, want, T.dense())
 
 

@@ -91,14 +91,14 @@ def sound(mesh, m, k=4, n=64, eps=(3, 100)):
 
 def test_distributed_refinement_improves(spark, mesh):
     start = trivial_mapping(mesh.vertices, 4, "range")
-    m = refine(mesh, start, T4, limits(spark, 4, 64, Config()), Config(patience=1, rounds=2))
+    m = refine(mesh, start, T4, limits(spark, 4, 64, Config()), Config(patience=1, rounds=2, small_edges=0))
     sound(mesh, m)
     assert ob.objective(mesh, m, T4).head()["j"] <= ob.objective(mesh, start, T4).head()["j"]
 
 
 def test_distributed_rebalancing_repairs(spark, mesh):
     start = mesh.vertices.selectExpr("id", "cast(if(id < 4, 0, id % 4) as int) as pe")
-    m = refine(mesh, start, T4, limits(spark, 4, 64, Config()), Config(patience=2, rounds=3))
+    m = refine(mesh, start, T4, limits(spark, 4, 64, Config()), Config(patience=2, rounds=3, small_edges=0))
     sound(mesh, m)
 
 

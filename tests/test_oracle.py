@@ -7,7 +7,7 @@ from taskmap.queries import QUERIES, SQL
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
 #: Checked at the larger scale by the driver; here they only cost time.
-SLOW = {"map_multisection_deep", "partition_edge_cut_deep", "refine_deep", "map_cpu_integrated_strong", "map_cpu_multisection_strong"}
+SLOW = {"map_multisection_deep", "partition_edge_cut_deep", "refine_deep", "refine_distributed", "map_cpu_integrated_strong", "map_cpu_multisection_strong"}
 
 
 @pytest.fixture(scope="module")

@@ -108,7 +108,7 @@ def test_registered_loops_have_the_settings_of_the_mappers(spark, tiny, monkeypa
     monkeypatch.setattr(mappers.ml, "coarsen", stop("coarsen", 3))
     monkeypatch.setattr(mappers.mt, "heavy_edge_matching", stop("matching", 2))
     monkeypatch.setattr(mappers.mt, "cluster", stop("cluster", 2))
-    wanted = {"refine_mapping": ("refine", Config()), "refine_deep": ("refine", Config(passes=DEEP_PASSES)), "coarsening_levels": ("coarsen", Config(small_edges=0)), "heavy_edge_matching": ("matching", Config()), "cluster_coarsen": ("cluster", None)}
+    wanted = {"refine_mapping": ("refine", Config()), "refine_deep": ("refine", Config(passes=DEEP_PASSES)), "refine_distributed": ("refine", Config(small_edges=0)), "coarsening_levels": ("coarsen", Config(small_edges=0)), "heavy_edge_matching": ("matching", Config()), "cluster_coarsen": ("cluster", None)}
     for query, (name, config) in wanted.items():
         with pytest.raises(InterruptedError):
             QUERIES[query](spark, tiny)
