@@ -40,7 +40,7 @@ def held(mapping, column="pe"):
 @pytest.mark.parametrize("start, change", [("modulo", {"filter_mode": "relaxed"}), ("one", {}), ("one", {"rebalance_objective": "comm", "sigma_mode": "absolute", "sigma_gap": 1})])
 def test_refinement_is_the_kernel(spark, start, change):
     """From balanced and from hopeless starts: rounds, locks, weak and strong rebalancing, changes put together."""
-    n, config = 80, Config(rounds=8, small_edges=0, **change)
+    n, config = 80, Config(rounds=6, small_edges=0, **change)
     g, small = both(spark, n, 100, 3)
     at = {"modulo": np.arange(n) % 8, "one": np.where(np.arange(n) < 60, 0, np.arange(n) % 8)}[start]
     want = kn.refine(small, at.astype(np.int64), T.dense(), np.full(8, load_bound(n, 8, 3, 100)), config)
@@ -75,9 +75,9 @@ def test_clustering_is_the_kernel(spark):
 @pytest.mark.parametrize("coarsening, run", [("cluster", ml.multilevel_map), ("matching", multisection)])
 def test_whole_mappers(spark, coarsening, run):
     """Nothing above the limit goes to a kernel; results are sound and about as good as the kernel's."""
-    n, t = 100, Topology.parse("2:2", "1:10")
-    g, small = both(spark, n, 80, 8)
-    config = Config(small_edges=0, rounds=2, patience=2, match_rounds=3, cluster_rounds=3, coarsest_factor=8, coarsening=coarsening)
+    n, t = 60, Topology.parse("2:2", "1:10")
+    g, small = both(spark, n, 50, 8)
+    config = Config(small_edges=0, rounds=2, patience=1, match_rounds=2, cluster_rounds=3, coarsest_factor=8, coarsening=coarsening)
     kernel = kn.objective(small, kn.integrated(small, t, config), t.dense())
     m = barrier(run(g, t, config))
     assert m.count() == n and m.select("id").distinct().count() == n
