@@ -28,3 +28,17 @@ def test_a_level_with_one_block_above_the_kernels_size(spark):
     rows = got.collect()
     assert len(rows) == len({r["id"] for r in rows}) == 64 and {r["pe"] for r in rows} == {0, 1, 2, 3}
     assert ob.imbalance(g.vertices, got, 4).head()["max_block"] <= 21
+
+
+def test_a_recursion_has_no_limit_of_rows_or_levels(spark, tiny):
+    names = ("spark.sql.cteRecursionLevelLimit", "spark.sql.cteRecursionRowLimit")
+    before = [spark.conf.get(n) for n in names]
+    want = sorted(map(tuple, QUERIES["components"](spark, tiny).collect()))
+    try:
+        for n in names:
+            spark.conf.set(n, "3")
+        assert sorted(map(tuple, QUERIES["components_recursive"](spark, tiny).collect())) == want
+        assert [spark.conf.get(n) for n in names] == ["3", "3"]
+    finally:
+        for n, value in zip(names, before):
+            spark.conf.set(n, value)
