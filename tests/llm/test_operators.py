@@ -62,6 +62,21 @@ def test_bpe_on_any_text(library, text):
     assert own.encode(text) == ids and own.decode(ids) == library.decode(ids, skip_special_tokens=False)
 
 
+def test_bpe_cuts_plain_runs_without_the_library(library):
+    own = bpe.WordBPE(bpe.vocabulary_path())
+    text = "Don't 12 cats, they'LL\x1c!?" * 3
+    ids = library.encode(text, add_special_tokens=False).ids
+    own.normalizer = own.splitter = None
+    assert own.encode(text) == ids
+
+
+@pytest.mark.parametrize("text", ["J\u030c", "I\u0307", "H\u0331s", "\u0130", "A\x0bB\x1cC", "na\u00efve,\u00c9T\u00c9"])
+def test_bpe_normalizes_runs_as_whole_texts(library, text):
+    own = bpe.loaded(bpe.vocabulary_path())
+    for t in (text, f"x {text}", f"{text} X"):
+        assert own.encode(t) == library.encode(t, add_special_tokens=False).ids
+
+
 # 2: mixing
 
 
