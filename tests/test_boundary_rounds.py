@@ -9,6 +9,7 @@ from test_mappers import grid
 
 from taskmap.config import Config
 from taskmap.functions import kernels as kn
+from taskmap.plans import experiments as ex
 from taskmap.topology import Topology, load_bound
 
 T = Topology.parse("4:8:1", "1:10:100")
@@ -53,3 +54,14 @@ def test_a_pass_of_the_local_search_ends_when_no_later_prefix_can_be_better(monk
     got = kn.local_search(g, start, 1 - np.eye(2), np.full(2, 1854))
     assert kn.edge_cut(g, got) <= kn.edge_cut(g, start) and np.bincount(got).max() <= 1854
     assert len(pops) < 5000  # 7,241 when passes went on to their end
+
+
+def test_runs_of_large_graphs_map_files(spark, tiny, monkeypatch):
+    monkeypatch.setattr(ex, "_distributed", lambda *a: pytest.fail("one after another"))
+    built = ex.BUILDERS["mesh"](spark, tiny)
+    config = Config(small_edges=built.edges.count() // (ex.RUN_TIMES + 1))
+    assert ex.arrays(built, config) is None
+    rows = ex.runs(spark, tiny, ["mesh"], ["integrated", "multisection"], ["2:2"], 1, config).collect()
+    small, t = ex.arrays(built), Topology.parse("2:2", "1:10")
+    want = {name: kn.objective(small, getattr(kn, name)(small, t, config), t.dense()) for name in ("integrated", "multisection")}
+    assert {r["algorithm"]: r["j"] for r in rows} == want and all(r["n"] == small.n for r in rows)
